@@ -17,6 +17,8 @@ from ringview.llm.common import FOLD, keyed, materialize, mix, prefix_hash, slic
 
 #: Rows of the vector table (a power of two), numbers of a vector, lengths of character n-grams in bytes.
 BITS, WIDTH, GRAMS = 17, 12, (2, 3, 4, 5)
+#: Words of a run that counts as new or repeated (rows 0 and 1 of the table); rows 2 and 3: another or the same word again.
+RUN = 4
 #: Training documents of each class at most (those with the smallest hash), passes, first learning rate.
 SAMPLE, PASSES, RATE = 1500, 4, 0.5
 
@@ -34,6 +36,14 @@ def features(data: np.ndarray, at: np.ndarray, bits: int = BITS):
             same = row[1:] == row[:-1]
             pair = word[:-1] * np.uint64(0x9FB21C651E98DF25) + word[1:]
             yield row[1:][same], (mix(pair[same]) >> shift).astype(np.int64)
+            yield row[1:][same], 2 + (word[1:] == word[:-1])[same].astype(np.int64)
+        if len(start) >= RUN:  # runs of words by whether the text has had them before, not by which they are
+            run = row[RUN - 1 :] == row[: len(row) - RUN + 1]
+            h, r = span_hash(prefix, start[: len(run)][run], end[RUN - 1 :][run]), row[: len(run)][run]
+            order = np.lexsort((h, r))
+            again = np.zeros(len(h), dtype=np.int64)
+            again[order[1:]] = (h[order[1:]] == h[order[:-1]]) & (r[order[1:]] == r[order[:-1]])
+            yield r, again
     owner = np.repeat(np.arange(len(at) - 1), np.diff(at))
     for n in GRAMS:
         m = len(text) - n + 1
