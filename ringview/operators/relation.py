@@ -2,18 +2,20 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator, Sequence
+from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, Row
 from pyspark.sql import functions as F
 
-from ringview.functions.rings import LongRing, NumberRing, Payload, Ring
+from ringview.functions.rings import LongRing, Payload, Ring
 
 #: Multiplicity column of a signed bag: +1 for an insert, -1 for a delete.
 SIGN = "__m"
 #: Number of derivations behind an entry; tells a zero payload from rounding dust.
 COUNT = "__n"
+#: Largest absolute value of a floating-point slot that counts as zero when nothing stands behind it.
+DUST = 1e-9
 
 
 @dataclass(frozen=True)
@@ -57,15 +59,15 @@ class KeyedRelation:
         return self.df.toLocalIterator()
 
 
-def _nonzero(df: DataFrame, keys: tuple[str, ...], ring: Ring, slots: Iterable[str]) -> DataFrame:
-    """Drop entries without derivations; an entry of signed inputs is zero only if its payload is as well."""
-    if not slots:
-        return df.where(F.col(COUNT) != 0)
-    return df.where((F.col(COUNT) != 0) | ~ring.is_zero({s: F.col(s) for s in slots}) if _exact(ring) else F.col(COUNT) != 0)
-
-
-def _exact(ring: Ring) -> bool:
-    return isinstance(ring, NumberRing) and ring.type_name not in ("double", "float")
+def _nonzero(df: DataFrame, keys: tuple[str, ...], ring: Ring, slots: Sequence[str]) -> DataFrame:
+    """Drop entries without derivations whose payload is zero as well (signed bags may cancel in number only); dust of
+    floating-point sums counts as zero, and semirings go by the number."""
+    gone = F.col(COUNT) == 0
+    if slots and ring.inverse:
+        small = [F.abs(F.col(s)) <= DUST if k in ("double", "float") else F.col(s) == 0 for s, k in df.select(*slots).dtypes]
+        for x in small:
+            gone = gone & x
+    return df.where(~gone)
 
 
 def _sum(rows: DataFrame, keys: tuple[str, ...], ring: Ring, slots: Sequence[str]) -> DataFrame:
