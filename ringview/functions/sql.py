@@ -6,6 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from ringview.functions.rings import CovarianceRing
@@ -17,20 +18,20 @@ def covariance_columns(*features: str) -> list[Column]:
     return [F.count("*").alias("cnt"), *[F.sum(x).alias(f"s_{x}") for x in f], *[F.sum(F.col(x) * F.col(y)).alias(CovarianceRing.q(x, y)) for i, x in enumerate(f) for y in f[i:]]]
 
 
-@pandas_udf("array<double>")
+@pandas_udf(T.ArrayType(T.DoubleType()))
 def cov_agg(x: pd.Series, y: pd.Series) -> list:
     """(count, sum x, sum y, sum xx, sum xy, sum yy) of two columns, for ad-hoc SQL."""
     a, b = x.to_numpy(float), y.to_numpy(float)
     return [float(len(a)), float(a.sum()), float(b.sum()), float(a @ a), float(a @ b), float(b @ b)]
 
 
-@pandas_udf("array<double>")
+@pandas_udf(T.ArrayType(T.DoubleType()))
 def ring_sum(payload: pd.Series) -> list:
     """Element-wise sum of payload arrays."""
     return np.sum(np.stack(payload.to_numpy()), axis=0).tolist() if len(payload) else []
 
 
-@udtf(returnType="level int, view string, keys string")
+@udtf(returnType=T.StructType([T.StructField("level", T.IntegerType()), T.StructField("view", T.StringType()), T.StructField("keys", T.StringType())]))
 class ExplainTree:
     """Rows of a view tree's text."""
 

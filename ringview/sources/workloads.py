@@ -68,8 +68,7 @@ class Workload:
         if self.second:
             s = db[self.second].where(F.pmod(self._key(self.second, db), F.lit(10)) >= 7)
             yield self.second, inserts(s.select(*self.relations[self.second]))
-        yield self.fact, deletes(cut(gone))
-        yield self.fact, inserts(cut(back))
+        yield self.fact, deletes(cut(gone)).unionByName(inserts(cut(back)))
 
     def final(self, db: dict[str, DataFrame]) -> dict[str, DataFrame]:
         key = self._key(self.fact, db)
