@@ -16,7 +16,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ringview.llm.common import FOLD, keyed, materialize, only_rows, slices
+from ringview.llm.common import FOLD, keyed, lean, materialize, only_rows, slices
 
 #: Bytes that the rolling hash sees; bits that must be zero at a cut (a chunk has 2**bits bytes on average); largest chunk.
 WINDOW, CUT_BITS, MOST = 32, 11, 1 << 14
@@ -41,6 +41,7 @@ def cuts(data: np.ndarray, at: np.ndarray) -> np.ndarray:
     return np.sort(ends)
 
 
+@lean
 def _recipes(batches):
     for batch in batches:
         for part, data, at in slices(batch, "_t"):

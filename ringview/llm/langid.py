@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from ringview.llm.common import FOLD, keyed, materialize, slices
+from ringview.llm.common import FOLD, keyed, lean, materialize, slices
 from ringview.llm.quality import held_out
 
 #: log2 of the number of hashed n-grams, their lengths in bytes.
@@ -83,6 +83,7 @@ def train(x: np.ndarray, targets: np.ndarray, weight: np.ndarray, seed: int = 5)
 
 
 def _fit(bits: int):
+    @lean
     def run(batches):
         x, y = [np.zeros((0, 1 << bits), np.float32)], []
         for batch in batches:
@@ -131,6 +132,7 @@ def decode(margin: np.ndarray, code: np.ndarray) -> tuple[np.ndarray, np.ndarray
 def _predict(names: list[str], w: np.ndarray, b: np.ndarray):
     bits, code = int(len(w)).bit_length() - 1, codewords(len(names))
 
+    @lean
     def run(batches):
         for batch in batches:
             for part, data, at in slices(batch, "_t", 1 << 18):

@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ringview.llm.common import FOLD, keyed, materialize, mix, prefix_hash, slices, span_hash, word_runs
+from ringview.llm.common import FOLD, keyed, lean, materialize, mix, prefix_hash, slices, span_hash, word_runs
 
 #: Rows of the vector table (a power of two), numbers of a vector, lengths of character n-grams in bytes.
 BITS, WIDTH, GRAMS = 17, 12, (2, 3, 4, 5)
@@ -113,6 +113,7 @@ def _calibrate(logits: np.ndarray, labels: np.ndarray) -> tuple[float, float]:
 
 
 def _fit(bits: int):
+    @lean
     def run(batches):
         texts, labels = [], []
         for batch in batches:
@@ -166,6 +167,7 @@ def logits(scores: np.ndarray, bias: float, data: np.ndarray, at: np.ndarray) ->
 
 
 def _score(scores: np.ndarray, bias: float):
+    @lean
     def run(batches):
         for batch in batches:
             for part, data, at in slices(batch, "_t", 1 << 19):
@@ -185,6 +187,7 @@ def keep_good(docs: DataFrame, model: tuple[np.ndarray, float], text_col: str =
     plain = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_all"), F.col(f"`{text_col}`").cast("string").alias("_t"))
     scores, bias = model
 
+    @lean
     def run(batches):
         for batch in batches:
             keep = []

@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ringview.llm.common import FOLD, SPACE, bit_counts, components, keyed, materialize, mix, only_rows, slices, word_runs
+from ringview.llm.common import FOLD, SPACE, bit_counts, components, keyed, lean, materialize, mix, only_rows, slices, word_runs
 from ringview.llm.components import connected_components
 
 #: Fingerprints of a key that are compared with each other at once.
@@ -172,6 +172,7 @@ def chained(x: np.ndarray, bits: int, m: int) -> np.ndarray:
 def _compare(bits: int, m: int, check_bits: int | None):
     """Rows sorted by (key, block pair): links of each group as a forest."""
 
+    @lean
     def run(batches):
         held: list[pa.RecordBatch] = []
         for batch in batches:
@@ -253,6 +254,7 @@ def link(nodes: DataFrame, bits: int, m: int | None = None, check_bits: int | No
 
 
 def _fingerprint_rows(width: int, seed: int):
+    @lean
     def run(batches):
         for batch in batches:
             for part, data, at in slices(batch, "_t"):
@@ -262,9 +264,10 @@ def _fingerprint_rows(width: int, seed: int):
     return run
 
 
+@lean
 def _passage_rows(batches):
     for batch in batches:
-        for part, data, at in slices(batch, "_t", 1 << 20):
+        for part, data, at in slices(batch, "_t", 1 << 18):
             fp, sig = passages(data, at)
             yield pa.RecordBatch.from_arrays([part.column("_d"), part.column("_h"), pa.array(fp.view(np.int64)), pa.array(sig, pa.binary())], names=["_d", "_h", "fp", "sig"])
 

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ringview.llm.common import keyed, materialize, mix, prefix_hash, slices, span_hash, text_view
+from ringview.llm.common import keyed, lean, materialize, mix, prefix_hash, slices, span_hash, text_view
 
 GRAM, LEAST = 128, 400
 #: Contexts of an anchor that one transform may take; bytes of a transform; starts of a step; bytes of a piece of a long text.
@@ -78,6 +78,7 @@ def _pieces(data: np.ndarray, at: np.ndarray, least: int):
 
 
 def _context_rows(least: int, gram: int):
+    @lean
     def run(batches):
         for batch in batches:
             for part, data, at in slices(batch, "_t"):
@@ -193,6 +194,7 @@ def _transform(least: int):
         pick = pa.array(row)
         return pa.RecordBatch.from_arrays([pa.array(keys).take(pick), pa.array(digs, pa.binary()).take(pick), pa.array((x - base).astype(np.int64)), pa.array((y - base).astype(np.int64))], names=["key", "dig", "x", "y"])
 
+    @lean
     def run(batches):
         keys, digs, ctx, total = [], [], [], 0
         for batch in batches:
@@ -215,6 +217,7 @@ def _transform(least: int):
 def _split(least: int, step: int):
     """Contexts to parts of ``step`` starts at fixed distances from the anchor, keyed by the bytes all those starts share."""
 
+    @lean
     def run(batches):
         for batch in batches:
             out = []
@@ -260,6 +263,7 @@ def _resolve(ctx: DataFrame, least: int, crowd: int, steps: tuple[int, ...]) ->
 
 
 def _cut_contexts(least: int):
+    @lean
     def run(batches):
         for batch in batches:
             data, at = text_view(batch.column("_t"))
@@ -338,6 +342,7 @@ def _cut(least: int):
 def _cut_digest(least: int):
     inner = _cut(least)
 
+    @lean
     def run(batches):
         for b in inner(batches):
             sha = pa.array([hashlib.sha256(x.as_buffer()).hexdigest() for x in b.column("kept")], pa.string())
