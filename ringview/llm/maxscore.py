@@ -36,33 +36,39 @@ def search_shard(ids: np.ndarray, v: np.ndarray, qids: np.ndarray, q: np.ndarray
     kind = np.float64 if exact else np.int64
     v, q = v.astype(kind), q.astype(kind)
     high, low = v.max(axis=0), v.min(axis=0)
-    floor_ = np.minimum(q * low, q * high)  # least contribution of each term
-    bound = np.maximum(q * low, q * high) - floor_
+    least = np.minimum(q * low, q * high)  # least contribution of each term
+    bound = np.maximum(q * low, q * high) - least
     by_bound = np.argsort(bound, axis=1, kind="stable")
+    # a first threshold: the k-th best of a few vectors
+    pilot = q @ v[: min(len(v), 8 * k)].T
+    own = ids[None, : pilot.shape[1]] == qids[:, None]
+    pilot = np.where(own, np.iinfo(np.int64).min if kind is np.int64 else -np.inf, pilot)
+    enough = (~own).sum(axis=1) >= k
+    theta = np.partition(pilot, pilot.shape[1] - k, axis=1)[:, pilot.shape[1] - k] if pilot.shape[1] >= k else np.zeros(len(q), kind)
+    # terms whose bounds together leave every vector under it are non-essential
+    reach = np.cumsum(np.take_along_axis(bound, by_bound, axis=1), axis=1) + least.sum(axis=1, keepdims=True)
+    few = np.where(enough, (reach < theta[:, None]).sum(axis=1), 0)
+    essential = np.ones(q.shape, dtype=bool)
+    np.put_along_axis(essential, by_bound, np.arange(q.shape[1])[None, :] >= few[:, None], axis=1)
+    scores = np.where(essential, q, 0) @ v.T  # the essential postings, for all queries of the block
     out = []
-    pilot = v[: min(len(v), 8 * k)] @ q.T  # a first threshold: the k-th best of a few vectors
     for i in range(len(q)):
-        order = by_bound[i]
-        own = ids[: len(pilot)] != qids[i]
-        first = pilot[own, i]
-        theta = np.partition(first, len(first) - k)[len(first) - k] if len(first) >= k else None
-        base = floor_[i].sum()
-        if theta is None:
-            n = 0
-        else:
-            n = int(np.searchsorted(np.cumsum(bound[i][order]) + base, theta, "left"))  # these alone stay under it
-        essential, rest = order[n:], order[:n][::-1]
-        part = v[:, essential] @ q[i, essential]
-        alive = np.flatnonzero(ids != qids[i])
+        rest = by_bound[i, : few[i]][::-1]
+        part, base = scores[i], least[i, rest].sum()
+        mine = ids == qids[i]
+        others = part[~mine] if mine.any() else part
+        floor_ = theta[i] if enough[i] else None
+        if len(others) >= k:  # what is sure already
+            sure = np.partition(others, len(others) - k)[len(others) - k] + base
+            floor_ = sure if floor_ is None else max(sure, floor_)
+        left = bound[i, rest].sum() + base
+        alive = np.flatnonzero((part + left >= floor_) & ~mine) if floor_ is not None else np.flatnonzero(~mine)
         part = part[alive]
-        left = (bound[i][rest]).sum() + floor_[i][rest].sum()
         for t in rest:
-            if theta is not None:
-                on = part + left >= theta
-                if not on.all():
-                    alive, part = alive[on], part[on]
+            on = part + left >= floor_
+            alive, part = alive[on], part[on]
             part = part + v[alive, t] * q[i, t]
-            left -= bound[i][t] + floor_[i][t]
+            left -= bound[i, t] + least[i, t]
         if len(part) > k:
             cut = np.partition(part, len(part) - k)[len(part) - k]
             on = part >= cut
