@@ -17,11 +17,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from ringview.llm.common import keyed, prefix_hash, span_hash
+from ringview.llm.common import keyed, lean, powers, prefix_hash, span_hash
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 #: Words kept in a worker's cache; words of one batch of the search (times their bytes); longest word searched in one go.
-CACHE, CELLS = 1 << 18, 1 << 22
+CACHE, CELLS = 1 << 17, 1 << 18
 _WORD = re.compile("▁*[^▁]+|▁+")
 _UNKNOWN_BELOW = 10.0
 
@@ -61,66 +61,86 @@ class Vocabulary:
         self.score = score[order]
         self.unknown = np.float32(score.min() - _UNKNOWN_BELOW)
         self.longest = int((end - start).max())
+        self.seen = np.zeros(1 << 20, dtype=bool)
+        self.seen[self.key >> np.uint64(44)] = True
         self.bytes_all = np.frombuffer(b"".join(self.raw), dtype=np.uint8)
         self.size = np.array([len(x) for x in self.raw])
         self.begin = np.cumsum(self.size) - self.size
         self.lookup = set(self.raw[i] for i in plain)
 
-    def search(self, words: list[bytes]) -> list[np.ndarray]:
-        """Ids of each word; words of equal length advance together."""
-        out: list[np.ndarray] = [None] * len(words)  # type: ignore[list-item]
-        by_size: dict[int, list[int]] = {}
-        for i, w in enumerate(words):
-            by_size.setdefault(len(w), []).append(i)
-        for n, which in by_size.items():
-            step = max(1, CELLS // max(n, 1))
-            for a in range(0, len(which), step):
-                for i, ids in zip(which[a : a + step], self._viterbi([words[i] for i in which[a : a + step]], n), strict=True):
-                    out[i] = ids
+    def probe(self, key: np.ndarray) -> np.ndarray:
+        """Place of each key among the sorted keys, or -1; a bit table spares most substrings the search."""
+        out = np.full(len(key), -1, dtype=np.int64)
+        maybe = np.flatnonzero(self.seen[key >> np.uint64(44)])
+        at = np.minimum(np.searchsorted(self.key, key[maybe]), len(self.key) - 1)
+        hit = self.key[at] == key[maybe]
+        out[maybe[hit]] = at[hit]
         return out
 
-    def _viterbi(self, words: list[bytes], n: int) -> list[np.ndarray]:
-        rows = len(words)
-        data = np.frombuffer(b"".join(words), dtype=np.uint8)
-        prefix = prefix_hash(data)
-        grid = data.reshape(rows, n)
+    def search(self, words: list[bytes], n: int) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of words of ``n`` bytes each, one after another, and how many each has."""
+        ids, sizes = [np.zeros(0, np.int32)], [np.zeros(0, np.int64)]
+        step = max(1, CELLS // max(n, 1))
+        for a in range(0, len(words), step):
+            x, y = self._viterbi(words[a : a + step], n)
+            ids.append(x)
+            sizes.append(y)
+        return np.concatenate(ids), np.concatenate(sizes)
+
+    def _viterbi(self, words: list[bytes], n: int) -> tuple[np.ndarray, np.ndarray]:
+        """Words advance together: at each end all starts are tried at once.  Only character starts are ever reached."""
+        rows, every = len(words), np.arange(len(words))
+        grid = np.frombuffer(b"".join(words), dtype=np.uint8).reshape(rows, n)
         first = np.ones((rows, n + 1), dtype=bool)
         first[:, :n] = (grid & 0xC0) != 0x80  # a character begins here
-        base = np.arange(rows) * n
+        up, down = powers(n + 1)
+        prefix = np.zeros((rows, n + 1), dtype=np.uint64)
+        np.cumsum((grid.astype(np.uint64) + np.uint64(1)) * up[:n], axis=1, out=prefix[:, 1:])
         best = np.full((rows, n + 1), -np.inf, dtype=np.float32)
         best[:, 0] = 0
-        back = np.zeros((rows, n + 1), dtype=np.int64)
+        back = np.zeros((rows, n + 1), dtype=np.int32)
         piece = np.full((rows, n + 1), -1, dtype=np.int32)
         begun = np.zeros(rows, dtype=np.int64)  # where the character that ends here begins
         for e in range(1, n + 1):
             begun = np.where(first[:, e - 1], e - 1, begun)
-            a = np.arange(max(0, e - self.longest), e)
-            key = _key(prefix, (base[:, None] + a).ravel(), np.repeat(base + e, len(a)))
-            at = np.minimum(np.searchsorted(self.key, key), len(self.key) - 1)
-            hit = (self.key[at] == key).reshape(rows, len(a)) & first[:, a] & first[:, e, None]
-            total = np.where(hit, best[:, a] + self.score[at].reshape(rows, len(a)), -np.inf)
+            low = max(0, e - self.longest)
+            width = e - low
+            key = (prefix[:, e, None] - prefix[:, low:e]) * down[low:e] ^ (np.arange(width, 0, -1).astype(np.uint64) << np.uint64(56))
+            at = self.probe(key.ravel())
+            found = np.flatnonzero(at >= 0)
+            total = np.full(rows * width, -np.inf, dtype=np.float32)
+            total[found] = best[:, low:e].ravel()[found] + self.score[at[found]]
+            at, total = at.reshape(rows, width), total.reshape(rows, width)
             pick = total.argmax(axis=1)
-            top = total[np.arange(rows), pick]
-            lone = first[:, e] & ~hit[np.arange(rows), begun - a[0]]  # no piece is this one character
-            other = np.where(lone, best[np.arange(rows), begun] + self.unknown, -np.inf)
+            top = total[every, pick]
+            lone = first[:, e] & (at[every, begun - low] < 0)  # no piece is this one character
+            other = np.where(lone, best[every, begun] + self.unknown, -np.inf).astype(np.float32)
             use = other > top
             best[:, e] = np.where(use, other, top)
-            back[:, e] = np.where(use, begun, a[pick])
-            piece[:, e] = np.where(use, -1, self.id[at].reshape(rows, len(a))[np.arange(rows), pick])
-        out = []
-        back_, piece_ = back.tolist(), piece.tolist()
-        for r in range(rows):
-            ids: list[int] = []
-            e = n
-            while e:
-                b = back_[r][e]
-                if piece_[r][e] < 0:
-                    ids.extend(self.byte[list(words[r][b:e])][::-1].tolist())
-                else:
-                    ids.append(piece_[r][e])
-                e = b
-            out.append(np.array(ids[::-1], dtype=np.int32))
-        return out
+            back[:, e] = np.where(use, begun, low + pick)
+            piece[:, e] = np.where(use, -1, self.id[at[every, pick]])
+        # all words are read off from their ends together
+        end, live, step = np.full(rows, n), every, 0
+        row, turn, got = [], [], []
+        while len(live):
+            e = end[live]
+            b, ids = back[live, e], piece[live, e]
+            known = ids >= 0
+            row.append(live[known])
+            turn.append(np.full(int(known.sum()), step))
+            got.append(ids[known])
+            step += 1
+            for r, x, y in zip(live[~known].tolist(), b[~known].tolist(), e[~known].tolist(), strict=True):
+                size = y - x
+                row.append(np.full(size, r))
+                turn.append(step + np.arange(size))
+                got.append(self.byte[grid[r, x:y][::-1]])
+            step += 4 * bool((~known).any())
+            end[live] = b
+            live = live[b > 0]
+        row_, turn_, got_ = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (row, turn, got))
+        order = np.lexsort((-turn_, row_))
+        return got_[order].astype(np.int32), np.bincount(row_, minlength=rows)
 
     def decode(self, ids: np.ndarray, ends: np.ndarray) -> list[str]:
         """Texts of consecutive id lists, list k ending at ``ends[k]``."""
@@ -150,20 +170,22 @@ class Encoder:
         self.used = 0
 
     def _learn(self, words: list[str]) -> None:
-        for a in range(0, len(words), CACHE // 4):
-            part = words[a : a + CACHE // 4]
-            ids = self.v.search([w.encode() for w in part])
-            size = np.array([len(x) for x in ids])
-            if len(self.index) + len(part) > len(self.start):
-                self.start, self.size = (np.resize(x, 2 * len(x) + len(part)) for x in (self.start, self.size))
-            if self.used + size.sum() > len(self.flat):
-                self.flat = np.resize(self.flat, 2 * len(self.flat) + int(size.sum()))
+        by_size: dict[int, list[tuple[str, bytes]]] = {}
+        for w in words:
+            raw = w.encode()
+            by_size.setdefault(len(raw), []).append((w, raw))
+        if len(self.index) + len(words) > len(self.start):
+            self.start, self.size = (np.resize(x, 2 * len(x) + len(words)) for x in (self.start, self.size))
+        for n, group in by_size.items():
+            ids, size = self.v.search([raw for _, raw in group], n)
+            if self.used + len(ids) > len(self.flat):
+                self.flat = np.resize(self.flat, 2 * len(self.flat) + len(ids))
             k = len(self.index)
-            self.start[k : k + len(part)] = self.used + np.cumsum(size) - size
-            self.size[k : k + len(part)] = size
-            self.flat[self.used : self.used + int(size.sum())] = np.concatenate(ids)
-            self.used += int(size.sum())
-            self.index.update(zip(part, range(k, k + len(part)), strict=True))
+            self.start[k : k + len(group)] = self.used + np.cumsum(size) - size
+            self.size[k : k + len(group)] = size
+            self.flat[self.used : self.used + len(ids)] = ids
+            self.used += len(ids)
+            self.index.update(zip((w for w, _ in group), range(k, k + len(group)), strict=True))
 
     def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts one after another, and where each text's end."""
@@ -192,6 +214,7 @@ def encoder(model: str, blob: bytes | None = None) -> Encoder:
 
 
 def _rows(model: str, check: bool):
+    @lean
     def run(batches):
         e = encoder(model)
         for batch in batches:
