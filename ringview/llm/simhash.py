@@ -6,11 +6,16 @@ start segment, which has to agree when t < m, with one half of the next, of whic
 the chain condition prunes what shares a key before the full Hamming check.  Crowded keys are worked off without
 listing their pairs: for t <= 2 fingerprints meet in their one-bit variants, else blocks of a key are compared with
 each other and only a spanning forest of each block pair is kept.
+
+Texts of a given Jaccard similarity are too far apart for one fingerprint of 64 bits (similar_documents): there several
+independent fingerprints, each made of the smallest values of ROWS hash functions over the five-word shingles, bring
+pairs together with a stated recall, and each pair is decided by its exact similarity.
 """
 
 from __future__ import annotations
 
 import math
+from fractions import Fraction
 
 import numpy as np
 import pyarrow as pa
@@ -23,6 +28,9 @@ from ringview.llm.components import connected_components
 
 #: Fingerprints of a key that are compared with each other at once.
 CROWD = 256
+#: Hash functions of one fingerprint of shingles; share of the pairs at the least similarity that must meet in a key, and
+#: share of them that the comparison of all smallest values may lose after that.
+ROWS, RECALL, LOSS = 4, 0.9995, 1e-5
 _P1, _P2, _P3, _P4, _P5 = (np.uint64(x) for x in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
 
 
@@ -117,24 +125,42 @@ def _distinct(hashes: np.ndarray, row: np.ndarray) -> tuple[np.ndarray, np.ndarr
     return hashes[first], row[first], np.diff(np.append(first, len(row)))
 
 
-def passages(data: np.ndarray, at: np.ndarray, width: int = 5, words: int = 8) -> tuple[np.ndarray, list[bytes]]:
-    """For similarity of texts: a search fingerprint of the words, weighted by the root of their count, which an edit
-    moves little, and a check fingerprint of 64*``words`` bits over distinct shingles, from which the cosine, and with
-    it the Jaccard similarity, of two texts is read off."""
-    text, start, end, row = single_spaced(data, at)
+def bands(similarity: float, recall: float = RECALL) -> int:
+    """Independent fingerprints of ROWS smallest values, of which one agrees with this probability at ``similarity``."""
+    return 1 if similarity >= 1 else math.ceil(math.log(1 - recall) / math.log(1 - similarity**ROWS))
+
+
+def least_common(similarity: float, n: int, loss: float = LOSS) -> int:
+    """The largest number of equal smallest values, of ``n``, that a pair at ``similarity`` misses with at most ``loss``."""
+    k, below = 0, 0.0
+    while k < n and (below := below + math.comb(n, k) * similarity**k * (1 - similarity) ** (n - k)) <= loss:
+        k += 1
+    return k
+
+
+def passages(data: np.ndarray, at: np.ndarray, functions: int, width: int = 5) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of the set of a text's shingles: its size, a digest of two numbers, and its smallest value under each of so many
+    hash functions.  Two sets have the same smallest value with the probability of their Jaccard similarity."""
     rows = len(at) - 1
-    search = np.zeros(rows, dtype=np.uint64)
-    h, r, n = _distinct(xxh64(text, start, end), row)
+    size, digest, low = np.zeros(rows, np.int64), np.zeros((rows, 2), np.uint64), np.zeros((rows, functions), np.uint64)
+    h, r = shingle_sets(data, at, width)
     if len(h):
         first = np.flatnonzero(np.concatenate(([True], r[1:] != r[:-1])))
-        w = np.sqrt(n).astype(np.float32)
-        bits = np.unpackbits(h.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-        score = np.add.reduceat((bits.astype(np.float32) * 2 - 1) * w[:, None], first, axis=0)
-        search[r[first]] = np.packbits(score > 0, axis=1, bitorder="little").view("<u8")[:, 0]
+        own = r[first]
+        size[own] = np.diff(np.append(first, len(r)))
+        for j in range(2):
+            digest[own, j] = np.add.reduceat(mix(h + np.uint64(2 * j + 1) * _P3), first)
+        salt = mix(np.arange(1, 2 * functions + 1, dtype=np.uint64) * _P1)
+        for j in range(functions):
+            low[own, j] = np.minimum.reduceat((h ^ salt[2 * j]) * (salt[2 * j + 1] | np.uint64(1)), first)
+    return size, digest, low
+
+
+def shingle_sets(data: np.ndarray, at: np.ndarray, width: int = 5) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct shingle hashes and their row, ascending by row and hash."""
+    text, start, end, row = single_spaced(data, at)
     a, b, r = shingles(start, end, row, width)
-    h, r, _ = _distinct(xxh64(text, a, b), r)
-    check = np.stack([majority(mix(h + np.uint64(2 * j + 1) * _P3), r, rows) for j in range(words)], axis=1)
-    return search, [x.astype("<u8").tobytes() for x in check]
+    return _distinct(xxh64(text, a, b), r)[:2]
 
 
 def _segments(m: int) -> list[tuple[int, int]]:
@@ -169,8 +195,8 @@ def chained(x: np.ndarray, bits: int, m: int) -> np.ndarray:
     return found
 
 
-def _compare(bits: int, m: int, check_bits: int | None):
-    """Rows sorted by (key, block pair): links of each group as a forest."""
+def _grouped(work):
+    """A mapInArrow function over rows sorted by (key, block pair): ``work`` gets some whole groups and each row's group."""
 
     @lean
     def run(batches):
@@ -178,10 +204,10 @@ def _compare(bits: int, m: int, check_bits: int | None):
         for batch in batches:
             held.append(batch)
             if sum(x.num_rows for x in held) >= 20_000:
-                yield from work(held, False)
-        yield from work(held, True)
+                yield from whole(held, False)
+        yield from whole(held, True)
 
-    def work(held, last):
+    def whole(held, last):
         if not (rows := sum(x.num_rows for x in held)):
             return
         t = pa.Table.from_batches(held).combine_chunks()
@@ -192,23 +218,38 @@ def _compare(bits: int, m: int, check_bits: int | None):
         rest = t.slice(stop).to_batches()
         held.clear()
         held.extend(rest)
-        if not stop:
-            return
-        t = t.slice(0, stop)
-        group = np.cumsum(new[:stop])
-        fp, node, side = t.column("fp").to_numpy().view(np.uint64), t.column("node").to_numpy(), t.column("b").to_numpy()
-        cross = g[1][:stop] != g[2][:stop]
-        sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), dtype="<u8").reshape(stop, -1) if check_bits is not None else None
+        if stop:
+            yield from work(t.slice(0, stop), np.cumsum(new[:stop]))
+
+    return run
+
+
+def _met(t: pa.Table, group: np.ndarray):
+    """Pairs of rows of one group, a before b, by distance; of two blocks only pairs across: each block has its own turn."""
+    side = t.column("b").to_numpy()
+    cross = t.column("bi").to_numpy() != t.column("bj").to_numpy()
+    alive = np.arange(len(group) - 1)
+    for d in range(1, len(group)):
+        alive = alive[alive + d < len(group)]
+        alive = alive[group[alive] == group[alive + d]]
+        if not len(alive):
+            break
+        own = ~cross[alive] | (side[alive] != side[alive + d])
+        yield alive[own], alive[own] + d
+
+
+def _bytes(t: pa.Table, name: str, kind: str) -> np.ndarray:
+    return np.frombuffer(b"".join(t.column(name).to_pylist()), dtype=kind).reshape(t.num_rows, -1)
+
+
+def _compare(bits: int, m: int, check_bits: int | None):
+    """Links of each group as a forest."""
+
+    def work(t, group):
+        fp, node = t.column("fp").to_numpy().view(np.uint64), t.column("node").to_numpy()
+        sig = _bytes(t, "sig", "<u8") if check_bits is not None else None
         us, vs, n = [], [], 0
-        alive = np.arange(stop - 1)
-        for d in range(1, stop):
-            alive = alive[alive + d < stop]
-            alive = alive[group[alive] == group[alive + d]]
-            if not len(alive):
-                break
-            a, b = alive, alive + d
-            own = ~cross[a] | (side[a] != side[b])  # of two blocks only pairs across; each block has its own turn
-            a, b = a[own], b[own]
+        for a, b in _met(t, group):
             x = fp[a] ^ fp[b]
             near = np.bitwise_count(x) <= bits
             a, b, x = a[near], b[near], x[near]
@@ -227,9 +268,72 @@ def _compare(bits: int, m: int, check_bits: int | None):
             v, u = components(np.concatenate(us), np.concatenate(vs))
             yield pa.RecordBatch.from_arrays([pa.array(u[u != v]), pa.array(v[u != v])], names=["u", "v"])
 
+    return _grouped(work)
+
+
+def _candidates(similarity: Fraction, least: int, best: bool):
+    """Pairs of different roots, u before v, whose sizes allow the similarity and that have ``least`` smallest values in
+    common: all of them, or for each v of a group the ``best`` u and each node that is in a pair with itself."""
+
+    def work(t, group):
+        node, root, size, sig = t.column("node").to_numpy(), t.column("root").to_numpy(), t.column("size").to_numpy(), _bytes(t, "sig", "u1")
+        top, to, seen = np.zeros(len(group), np.int64), np.zeros(len(group), np.int64), np.zeros(len(group), bool)
+        us, vs, n = [], [], 0
+        for a, b in _met(t, group):
+            ok = (root[a] != root[b]) & (np.minimum(size[a], size[b]) * similarity.denominator >= np.maximum(size[a], size[b]) * similarity.numerator)
+            a, b = a[ok], b[ok]
+            common = (sig[a] == sig[b]).sum(axis=1)
+            ok = common >= least
+            a, b, common = a[ok], b[ok], common[ok]
+            if best:
+                seen[a] = seen[b] = True
+                more = common > top[b]  # a b is here once at most
+                top[b[more]], to[b[more]] = common[more], a[more]
+            elif len(a):
+                us.append(node[a])
+                vs.append(node[b])
+                n += len(a)
+                if n > 200_000:
+                    yield _pairs(us, vs)
+                    us, vs, n = [], [], 0
+        if best:
+            b, own = np.flatnonzero(top), np.flatnonzero(seen)
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate((node[to[b]], node[own]))), pa.array(np.concatenate((node[b], node[own]))), pa.array(np.concatenate((top[b], np.zeros(len(own), np.int64))))], names=["u", "v", "common"])
+        elif us:
+            yield _pairs(us, vs)
+
+    return _grouped(work)
+
+
+def _pairs(us: list[np.ndarray], vs: list[np.ndarray]) -> pa.RecordBatch:
+    pair = np.unique(np.stack((np.concatenate(us), np.concatenate(vs)), axis=1), axis=0)
+    return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(pair[:, 0])), pa.array(np.ascontiguousarray(pair[:, 1])), pa.array(np.zeros(len(pair), np.int64))], names=["u", "v", "common"])
+
+
+def _alike(similarity: Fraction):
+    """Of pairs with both sets: those of at least this Jaccard similarity."""
+
+    @lean
+    def run(batches):
+        for batch in batches:
+            keep = []
+            for x, y in zip(batch.column("su"), batch.column("sv"), strict=True):
+                a, b = (np.frombuffer(s.as_buffer(), dtype="<u8") for s in (x, y))
+                both = len(np.intersect1d(a, b, assume_unique=True))
+                keep.append(both * similarity.denominator >= (len(a) + len(b) - both) * similarity.numerator)
+            yield batch.select(["u", "v"]).filter(pa.array(keep, pa.bool_()))
+
     return run
 
 
+def _deal(index: DataFrame, count: DataFrame, crowd: int) -> DataFrame:
+    """Rows of the keys in ``count`` (with n, their number) in pairs of blocks of a key: bi, bj, and the row's own b."""
+    shared = index.join(count, "key").withColumn("parts", F.ceil(F.col("n") / crowd).cast("int")).withColumn("b", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
+    dealt = shared.select("*", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("o"))
+    dealt = dealt.withColumn("bi", F.least("b", "o")).withColumn("bj", F.greatest("b", "o")).drop("n", "parts", "o")
+    return dealt.repartition("key", "bi", "bj").sortWithinPartitions("key", "bi", "bj", "node")
+
+
 def link(nodes: DataFrame, bits: int, m: int | None = None, check_bits: int | None = None, crowd: int = CROWD) -> DataFrame:
     """Edges (u, v) with the components of the graph "differ in at most ``bits`` bits" (and, of ``sig``, in at most
     ``check_bits``).  ``nodes``: node long, fp long, sig binary, one row each, in the shared folder."""
@@ -238,9 +342,7 @@ def link(nodes: DataFrame, bits: int, m: int | None = None, check_bits: int | No
     count = materialize(index.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "keys")
     variants = bits <= 2 and check_bits is None
     few = count.where(F.col("n") <= crowd) if variants else count
-    shared = index.join(few, "key").withColumn("parts", F.ceil(F.col("n") / crowd).cast("int")).withColumn("b", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
-    dealt = shared.select("*", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("o")).select("key", F.least("b", "o").alias("bi"), F.greatest("b", "o").alias("bj"), "b", "node", "fp", *(["sig"] if check_bits is not None else []))
-    edges = dealt.repartition("key", "bi", "bj").sortWithinPartitions("key", "bi", "bj").mapInArrow(_compare(bits, m, check_bits), "u long, v long")
+    edges = _deal(index, few, crowd).mapInArrow(_compare(bits, m, check_bits), "u long, v long")
     if variants:
         many = materialize(index.join(count.where(F.col("n") > crowd), "key", "left_semi").select("node", "fp").distinct(), "crowded")
         flips = F.array(F.lit(0).cast("long"), *[F.lit(1 << b if b < 63 else -(1 << 63)).cast("long") for b in range(64 * (bits > 0))])
@@ -264,12 +366,31 @@ def _fingerprint_rows(width: int, seed: int):
     return run
 
 
+def _passage_rows(bands: int):
+    @lean
+    def run(batches):
+        for batch in batches:
+            for part, data, at in slices(batch, "_t", 1 << 18):
+                size, digest, low = passages(data, at, bands * ROWS)
+                key = np.repeat(np.arange(1, bands + 1, dtype=np.uint64)[None, :] * _P5, len(size), axis=0)
+                for j in range(ROWS):
+                    key = mix(key * _P2 + low[:, j::ROWS])
+                key, each = key[size > 0], (size > 0) * bands
+                keys = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(each))).astype(np.int32)), pa.array(key.reshape(-1).view(np.int64)))
+                sig = pa.array([x.tobytes() for x in low.astype(np.uint8)], pa.binary())
+                yield pa.RecordBatch.from_arrays([part.column("_d"), part.column("_h"), pa.array(size), *(pa.array(np.ascontiguousarray(digest[:, j]).view(np.int64)) for j in range(2)), keys, sig], names=["_d", "_h", "size", "d0", "d1", "keys", "sig"])
+
+    return run
+
+
 @lean
-def _passage_rows(batches):
+def _set_rows(batches):
     for batch in batches:
         for part, data, at in slices(batch, "_t", 1 << 18):
-            fp, sig = passages(data, at)
-            yield pa.RecordBatch.from_arrays([part.column("_d"), part.column("_h"), pa.array(fp.view(np.int64)), pa.array(sig, pa.binary())], names=["_d", "_h", "fp", "sig"])
+            h, r = shingle_sets(data, at)
+            edge = np.searchsorted(r, np.arange(len(at)))
+            sets = [h[a:b].astype("<u8").tobytes() for a, b in zip(edge[:-1], edge[1:], strict=True)]
+            yield pa.RecordBatch.from_arrays([part.column("node"), pa.array(sets, pa.binary())], names=["node", "set"])
 
 
 def near_duplicates(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", width: int = 3, bits: int = 2, seed: int = 42, crowd: int = CROWD, one_task: int = 1_000_000) -> DataFrame:
@@ -280,7 +401,7 @@ def near_duplicates(docs: DataFrame, text_col: str = "text", id_col: str = "doc_
     rows stay apart.  An empty table gives no row.  ``links`` counts the other documents with the same fingerprint.
     """
     if bits > 2:
-        raise ValueError("over 2 bits give a check fingerprint: use similar_documents")
+        raise ValueError("over 2 bits need a check fingerprint: see link")
     found = materialize(keyed(docs, id_col, text_col).mapInArrow(_fingerprint_rows(width, seed), "_d long, _h long, fp long"), "fingerprints")
     nodes = materialize(found.groupBy("fp").agg(F.min("_d").alias("low"), F.count("*").alias("n")).withColumn("node", F.col("fp")), "nodes")
     root = materialize(connected_components(link(nodes, bits, crowd=crowd), one_task), "roots")
@@ -292,24 +413,42 @@ def near_duplicates(docs: DataFrame, text_col: str = "text", id_col: str = "doc_
     return out.select("_d", "_h", "fp", F.when(F.col("n").isNull(), F.col("_d")).otherwise(F.col("component_id")).alias("component_id"), (F.coalesce("n", F.lit(1)) - 1).alias("links"))
 
 
-def hamming_budget(similarity: float, words: int) -> int:
-    """Bits of a check fingerprint in which two texts of this Jaccard similarity are expected to differ."""
-    return math.floor(64 * words * math.acos(2 * similarity / (1 + similarity)) / math.pi)
-
-
-def similar_documents(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", similarity: float = 0.8, bits: int = 6, crowd: int = CROWD, one_task: int = 1_000_000) -> DataFrame:
+def similar_documents(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", similarity: float = 0.8, recall: float = RECALL, crowd: int = CROWD, one_task: int = 1_000_000) -> DataFrame:
     """One row per document: _d, _h, _n (row number), root (row number of its group), kept.
 
-    Texts link if their word fingerprints differ in at most ``bits`` bits and their check fingerprints over five-word
-    shingles in no more than texts of Jaccard ``similarity`` do.  The smallest id of a group stays (null ids last).
-    Texts without words link with each other only.
+    Texts link if the Jaccard similarity of their sets of five-word shingles is ``similarity`` or more.  Pairs are found
+    by equal fingerprints (``recall`` of those at ``similarity``, more above it) and decided by the sets: first each text with
+    the one before it that seems nearest, then all pairs that these links leave in different groups.  The smallest id
+    of a group stays (null ids last).  Texts without words link with each other only.
     """
-    found = materialize(keyed(docs, id_col, text_col).mapInArrow(_passage_rows, "_d long, _h long, fp long, sig binary").withColumn("_n", F.monotonically_increasing_id()), "passages")
-    nodes = materialize(found.groupBy("fp", "sig").agg(F.min("_n").alias("node"), F.count("*").alias("n")), "nodes")
-    edges = link(nodes, bits, check_bits=hamming_budget(similarity, 8), crowd=crowd)
+    n, exact = bands(similarity, recall), Fraction(str(similarity))
+    least = least_common(similarity, n * ROWS)
+    found = materialize(keyed(docs, id_col, text_col).mapInArrow(_passage_rows(n), "_d long, _h long, size long, d0 long, d1 long, keys array<long>, sig binary").withColumn("_n", F.monotonically_increasing_id()), "passages")
+    one = F.min(F.struct("_n", "_d", "_h", "keys", "sig")).alias("one")
+    nodes = materialize(found.groupBy("size", "d0", "d1").agg(one, F.count("*").alias("n")).select("size", "d0", "d1", "n", F.col("one._n").alias("node"), "one._d", "one._h", "one.keys", "one.sig"), "nodes")
+    index = nodes.select(F.explode("keys").alias("key"), "node", "size", "sig")
+    count = materialize(index.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "keys")
+    shape = "u long, v long, common long"
+    near = materialize(_deal(index.withColumn("root", F.col("node")), count, crowd).mapInArrow(_candidates(exact, least, True), shape), "near")
+    wanted = near.select(F.explode(F.array("u", "v")).alias("node")).distinct().join(nodes.select("node", "_d", "_h"), "node")
+    text = keyed(docs, id_col, text_col).alias("t").join(materialize(wanted, "wanted").alias("w"), F.expr("t._d <=> w._d and t._h = w._h")).select("w.node", "t._t")
+    sets = materialize(text.mapInArrow(_set_rows, "node long, set binary").dropDuplicates(["node"]), "sets")
+
+    def links(pairs: DataFrame) -> DataFrame:
+        both = pairs.join(sets.select(F.col("node").alias("u"), F.col("set").alias("su")), "u").join(sets.select(F.col("node").alias("v"), F.col("set").alias("sv")), "v")
+        return materialize(both.select("u", "v", "su", "sv").mapInArrow(_alike(exact), "u long, v long"), "links")
+
+    first = near.where("u < v").groupBy("v").agg(F.min(F.struct((-F.col("common")).alias("x"), "u")).alias("b")).select(F.col("b.u").alias("u"), "v")
+    first = materialize(first, "pairs")
+    edges = links(first)
     root = materialize(connected_components(edges, one_task), "roots")
-    group = materialize(nodes.join(root, "node", "left").where("n > 1 or root is not null").select("fp", "sig", F.coalesce("root", "node").alias("root")), "groups")
-    named = materialize(found.join(group, ["fp", "sig"], "left").select("_d", "_h", "_n", F.coalesce("root", "_n").alias("root")), "named")
+    open_ = index.join(root, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    rest = _deal(open_, count, crowd).mapInArrow(_candidates(exact, least, False), shape).select("u", "v").distinct()
+    rest = materialize(rest.join(first, ["u", "v"], "left_anti"), "pairs")
+    if not rest.isEmpty():
+        root = materialize(connected_components(edges.unionByName(links(rest)), one_task), "roots")
+    group = materialize(nodes.join(root, "node", "left").where("n > 1 or root is not null").select("size", "d0", "d1", F.coalesce("root", "node").alias("root")), "groups")
+    named = materialize(found.join(group, ["size", "d0", "d1"], "left").select("_d", "_h", "_n", F.coalesce("root", "_n").alias("root")), "named")
     best = materialize(named.groupBy("root").agg(F.min(F.struct(F.col("_d").isNull().alias("x"), "_d", "_n")).alias("best"), F.count("*").alias("size")).where("size > 1"), "best")
     return named.join(best, "root", "left").select("_d", "_h", "_n", "root", F.coalesce(F.col("best._n") == F.col("_n"), F.lit(True)).alias("kept"))
 

@@ -219,3 +219,54 @@ def test_expansion_gives_bounded_common_prefixes():
     assert [turned[i] for i in order] == sorted(turned)
     for r in range(1, len(order)):
         assert short[r] == (turned[order[r - 1]][:12] != turned[order[r]][:12])
+
+
+def near_pairs(seed, count, size):
+    """Texts of ``size`` words with an added passage or scattered edits, down to a similarity of 0.8 and a little below."""
+    rng = random.Random(seed)
+    word = lambda: f"w{int(5000 ** rng.random())}"
+    for i in range(count):
+        a = [word() for _ in range(size)]
+        if i % 2:
+            b = a + [word() for _ in range(rng.randint(1, size // 4 + 2))]
+        else:
+            b = list(a)
+            for _ in range(rng.randint(1, max(1, size // 42))):
+                b[rng.randrange(len(b))] = "edit"
+        yield " ".join(a), " ".join(b)
+
+
+def jaccard(x, y):
+    a, b = ({b" ".join(w[i : i + 5]) for i in range(max(1, len(w) - 4))} for w in (WORD.findall(fold(t)) for t in (x, y)))
+    return len(a & b), len(a | b)
+
+
+@pytest.mark.parametrize("crowd", [256, 3])
+def test_similar_documents_down_to_the_bound(spark, crowd):
+    pairs = [p for size in (12, 60, 300) for p in near_pairs(size, 120, size)]
+    rows = [(i, t, None, 0, None) for i, t in enumerate(t for p in pairs for t in p)]
+    got = {r["_d"]: r["root"] for r in simhash.similar_documents(spark.createDataFrame(rows, SCHEMA).repartition(3), crowd=crowd).collect()}
+    truth = [(lambda both, all_: 5 * both >= 4 * all_)(*jaccard(*p)) for p in pairs]
+    linked = [got[2 * i] == got[2 * i + 1] for i in range(len(pairs))]
+    assert 200 < sum(truth) < len(pairs) and linked == truth  # recall at the bound is 0.9995, and no pair below it
+
+
+def test_similar_documents_one_crowd(spark):
+    """Chains, near misses and a passage that all have: the groups of all exact pairs."""
+    rng = random.Random(5)
+    base = [f"b{i}" for i in range(100)]
+    texts = []
+    for _ in range(150):
+        w = list(base)
+        for _ in range(rng.randint(0, 5)):
+            w[rng.randrange(100)] = f"x{rng.random()}"
+        texts.append(" ".join(w))
+    texts += [" ".join(base[:50] + [f"y{i}-{j}" for j in range(60)]) for i in range(100)]
+    got = {r["_d"]: r["root"] for r in simhash.similar_documents(spark.createDataFrame([(i, t, None, 0, None) for i, t in enumerate(texts)], SCHEMA), crowd=16).collect()}
+    u, v = zip(*[(i, j) for i, j in itertools.combinations(range(len(texts)), 2) for both, all_ in [jaccard(texts[i], texts[j])] if 5 * both >= 4 * all_], strict=True)
+    root = dict(zip(*components(np.array(u), np.array(v)), strict=True))
+    want, found = defaultdict(set), defaultdict(set)
+    for i in range(len(texts)):
+        want[root.get(i, i)].add(i)
+        found[got[i]].add(i)
+    assert sorted(map(sorted, found.values())) == sorted(map(sorted, want.values()))
