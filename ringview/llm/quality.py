@@ -99,20 +99,23 @@ def train(texts: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, bits:
     return table @ line, float(bias[1] - bias[0])
 
 
-def _calibrate(logits: np.ndarray, labels: np.ndarray) -> tuple[float, float]:
-    """Slope and shift of a logistic curve through the training scores, by Newton steps."""
+def _calibrate(logits: np.ndarray, labels: np.ndarray, weight: tuple[float, float] = (1.0, 1.0)) -> tuple[float, float]:
+    """Slope and shift of a logistic curve through the training scores, by Newton steps.  ``weight``: how many labelled
+    documents one of the sample stands for, by class, so that the curve has the shares of all of them."""
+    c = np.asarray(weight, dtype=np.float64)[labels]
+    c /= c.mean()
     x = np.stack([logits, np.ones_like(logits)], axis=1).astype(np.float64)
     mean, dev = x[:, 0].mean(), x[:, 0].std() + 1e-9
     x[:, 0] = (x[:, 0] - mean) / dev
     w = np.zeros(2)
     for _ in range(30):
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        h = (x * (p * (1 - p))[:, None]).T @ x + 1e-2 * np.eye(2)
-        w += np.linalg.solve(h, x.T @ (labels - p) - 1e-2 * w)
+        h = (x * (c * p * (1 - p))[:, None]).T @ x + 1e-2 * np.eye(2)
+        w += np.linalg.solve(h, x.T @ (c * (labels - p)) - 1e-2 * w)
     return float(w[0] / dev), float(w[1] - w[0] * mean / dev)
 
 
-def _fit(bits: int):
+def _fit(bits: int, weight: tuple[float, float]):
     @lean
     def run(batches):
         texts, labels = [], []
@@ -130,7 +133,7 @@ def _fit(bits: int):
         else:
             scores, bias = train(texts, y, bits)
             logits = np.array([w @ scores[f] + bias for f, w in texts])
-            slope, shift = _calibrate(logits, y)
+            slope, shift = _calibrate(logits, y, weight)
             scores, bias = (scores * slope).astype(np.float32), bias * slope + shift
         yield pa.RecordBatch.from_arrays([pa.array([scores.astype("<f4").tobytes()], pa.binary()), pa.array([bias])], names=["scores", "bias"])
 
@@ -143,13 +146,16 @@ def held_out(id_: str) -> Column:
 
 
 def fit(docs: DataFrame, labels: DataFrame, text_col: str = "text", id_col: str = "doc_id", label_col: str = "quality", bits: int = BITS, sample: int = SAMPLE) -> tuple[np.ndarray, float]:
-    """Learn from labelled documents outside the held-out part, ``sample`` of each class at most (smallest hash first)."""
+    """Learn from labelled documents outside the held-out part, ``sample`` of each class at most (smallest hash first).
+    The scores have the shares of both classes among all these documents, whatever the sample has."""
     y = labels.select(F.col(f"`{id_col}`").cast("long").alias("_d"), F.col(f"`{label_col}`").cast("int").alias("_y")).where("_y in (0, 1) and _d is not null")
     y = y.groupBy("_d").agg(F.max("_y").alias("_y")).where(~held_out("_d")).withColumn("_r", F.xxhash64("_d"))
+    n = dict(y.groupBy("_y").count().collect())
+    weight = tuple(max(1.0, n.get(c, 0) / max(1, sample)) for c in (0, 1))
     y = materialize(y.where("_y = 0").orderBy("_r", "_d").limit(sample).unionByName(y.where("_y = 1").orderBy("_r", "_d").limit(sample)), "labelled")
     d = docs.select(F.col(f"`{id_col}`").cast("long").alias("_d"), F.col(f"`{text_col}`").alias("_t"))
     rows = d.join(F.broadcast(y), "_d").select("_t", "_y", "_r", "_d")  # 2*sample rows of numbers
-    model = rows.repartition(1).sortWithinPartitions("_r", "_d", "_t").select("_t", "_y").mapInArrow(_fit(bits), "scores binary, bias double").first()
+    model = rows.repartition(1).sortWithinPartitions("_r", "_d", "_t").select("_t", "_y").mapInArrow(_fit(bits, weight), "scores binary, bias double").first()
     if model is None:  # no labelled row: a constant score
         return np.zeros(1 << bits, np.float32), 0.0
     return np.frombuffer(model["scores"], dtype="<f4").copy(), model["bias"]

@@ -322,3 +322,13 @@ def test_pipeline(spark, sf):
 
 def test_queries_name_every_operator():
     assert [q for q in queries.QUERIES if q.startswith("op")] == sorted((q for q in queries.QUERIES if q.startswith("op")), key=lambda q: int(q[2:].split("_")[0])) and len(queries.QUERIES) == 11
+
+
+def test_quality_scores_do_not_follow_the_sample(spark):
+    rng = random.Random(9)
+    words = ["".join(rng.choice("abcdefghijklmnop") for _ in range(6)) for _ in range(30)]
+    d = docs(spark, [" ".join(rng.choice(words) for _ in range(40)) for _ in range(4000)])
+    y = spark.createDataFrame([(i, int(i % 8 > 0), 0) for i in range(4000)], "doc_id long, quality int, toxic int")  # no text tells them apart
+    for sample in (5000, 1500, 300):  # no class, one class and both classes over the cap
+        mean = quality.score(d, quality.fit(d, y, sample=sample)).where(quality.held_out("_d")).agg(F.avg("score")).first()[0]
+        assert mean == pytest.approx(7 / 8, abs=0.06), sample
