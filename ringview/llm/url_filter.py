@@ -15,8 +15,8 @@ from pyspark.sql.window import Window
 
 from ringview.llm.common import keyed, materialize
 
-#: Days of a period, the unit in which intervals and captures meet; labels of a host that are tried, from the right.
-PERIOD, LABELS = 32, 6
+#: Days of a period, the unit in which intervals and captures meet.
+PERIOD = 32
 
 
 def host(url: Column) -> Column:
@@ -41,13 +41,12 @@ def validity(entries: DataFrame) -> DataFrame:
 
 
 def patterns(h: Column, s: Column) -> Column:
-    """All (kind, pattern) that may list a host and segment: the host's suffixes, and host/segment."""
+    """All (kind, pattern) that may list a host and segment: all suffixes of the host, and host/segment."""
     labels = F.split(h, r"\.")
     suffix = lambda n: F.array_join(F.slice(labels, -n, n), ".")
-    domains = F.transform(F.sequence(F.lit(1), F.least(F.size(labels), F.lit(LABELS))), lambda n: F.struct(F.lit("domain").alias("kind"), suffix(n).alias("pattern")))
-    whole = F.when(F.size(labels) > LABELS, F.array(F.struct(F.lit("domain").alias("kind"), h.alias("pattern")))).otherwise(F.array().cast("array<struct<kind:string,pattern:string>>"))
+    domains = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda n: F.struct(F.lit("domain").alias("kind"), suffix(n).alias("pattern")))
     path = F.array(F.struct(F.lit("path").alias("kind"), F.concat(h, F.lit("/"), F.lower(s)).alias("pattern")))
-    return F.concat(domains, whole, path)
+    return F.concat(domains, path)
 
 
 def filter_captures(captures: DataFrame, entries: DataFrame, id_col: str = "page_id", url_col: str = "url", fetched_col: str = "fetched", period: int = PERIOD) -> DataFrame:

@@ -332,3 +332,14 @@ def test_quality_scores_do_not_follow_the_sample(spark):
     for sample in (5000, 1500, 300):  # no class, one class and both classes over the cap
         mean = quality.score(d, quality.fit(d, y, sample=sample)).where(quality.held_out("_d")).agg(F.avg("score")).first()[0]
         assert mean == pytest.approx(7 / 8, abs=0.06), sample
+
+
+def test_url_filter_covers_subdomains_of_any_depth(spark):
+    listed = [".".join("abcdefghijklmnop"[:n]) + ".org" for n in (1, 5, 6, 7, 12)]
+    hosts = [f"{'x.' * k}{d}" for d in listed for k in (0, 1, 9)] + ["y.b.c.d.e.f.g.org", "z" + listed[3]]
+    day = date(2024, 1, 1)
+    caps = spark.createDataFrame([(i, f"http://{h}/", day) for i, h in enumerate(hosts)], "page_id long, url string, fetched date")
+    got = {r["page_id"]: r for r in url_filter.filter_captures(caps, spark.createDataFrame([("domain", d, day, "add") for d in listed], url_filter.ENTRY_SCHEMA)).collect()}
+    for i, h in enumerate(hosts):
+        found = sorted(d for d in listed if h == d or h.endswith("." + d))
+        assert got[i]["blocked"] == bool(found) and got[i]["n_lists"] == len(found) and got[i]["pattern"] == min(found, default=None), h
