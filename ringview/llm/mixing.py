@@ -97,16 +97,33 @@ def position(demand: Column, schedule: Column) -> Column:
     return F.least((step.i + F.least(F.coalesce(root, F.lit(0.0)), F.lit(1.0))) / pieces, F.lit(1.0))
 
 
+def uses(m: DataFrame, most: int = MOST, curriculum: Sequence[Sequence[float]] = CURRICULUM) -> Column:
+    """Of rows of ``mix``: the passes that take words of a document, in order, with pass, words and position."""
+    table = F.array(*[F.array(*[F.lit(float(x)) for x in c]) for c in curriculum])
+    schedule = F.element_at(table, (m["rank"] % len(curriculum) + 1).cast("int"))
+    begun = lambda k: k * m["source_size"] + m["before"]
+    part = lambda k: F.least(m["size"], F.greatest(m["goal"] - begun(k), F.lit(0)))
+    each = F.filter(F.sequence(F.lit(0), F.least(F.lit(most - 1), m["passes"].cast("int"))), lambda k: part(k) > 0)
+    return F.transform(each, lambda k: F.struct(k.alias("pass"), part(k).alias("words"), position(begun(k) / F.nullif(m["goal"], F.lit(0)), schedule).alias("position")))
+
+
 def training_order(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", source_col: str = "source", weights: Sequence[float] = WEIGHTS, most: int = MOST, curriculum: Sequence[Sequence[float]] = CURRICULUM) -> DataFrame:
     """One row per document and pass: _d, _h, pass, words, position; a pass takes a document whole, or, at the target's
     end, in part."""
     m = mix(docs, text_col, id_col, source_col, weights, most)
-    table = F.array(*[F.array(*[F.lit(float(x)) for x in c]) for c in curriculum])
-    schedule = F.element_at(table, (F.col("rank") % len(curriculum) + 1).cast("int"))
-    each = m.where("taken > 0").withColumn("pass", F.explode(F.sequence(F.lit(0), F.least(F.lit(most - 1), F.col("passes").cast("int")))))
-    begun = F.col("pass") * F.col("source_size") + F.col("before")
-    each = each.withColumn("words", F.least(F.col("size"), F.greatest(F.col("goal") - begun, F.lit(0)))).where("words > 0")
-    return each.select("_d", "_h", "source", "pass", "words", "size", position(begun / F.col("goal"), schedule).alias("position"))
+    each = m.where("taken > 0").select("_d", "_h", "source", "size", F.explode(uses(m, most, curriculum)).alias("use"))
+    return each.select("_d", "_h", "source", "use.pass", "use.words", "size", "use.position")
+
+
+def training_plan(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", source_col: str = "source", weights: Sequence[float] = WEIGHTS, most: int = MOST, curriculum: Sequence[Sequence[float]] = CURRICULUM) -> DataFrame:
+    """One row per document: _d, _h, size, source_size, target, taken (words of all its passes), positions (of its passes,
+    in order); range-sorted by the first position, documents that no pass takes at the end."""
+    m = mix(docs, text_col, id_col, source_col, weights, most)
+    plan = m.select("_d", "_h", "size", "source_size", "target", uses(m, most, curriculum).alias("use"))
+    taken = F.aggregate("use.words", F.lit(0).cast("long"), lambda a, x: a + x)
+    plan = materialize(plan.select("_d", "_h", "size", "source_size", "target", taken.alias("taken"), F.col("use.position").alias("positions")), "plan")
+    by = [F.try_element_at("positions", F.lit(1)).asc_nulls_last(), F.xxhash64("_h", "_d")]  # the many without a position are dealt out by hash
+    return plan.repartitionByRange(*by).sortWithinPartitions(*by)
 
 
 def mixed_documents(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", source_col: str = "source", **how) -> DataFrame:

@@ -69,8 +69,8 @@ def op7_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    mixed = mixing.mix(_table(spark, sf_dir, "documents"))
-    return mixed.select(F.col("_d").alias("doc_id"), "size", "source_size", "target", "taken")
+    plan = mixing.training_plan(_table(spark, sf_dir, "documents"))
+    return plan.select(F.col("_d").alias("doc_id"), "size", "source_size", "target", "taken", "positions")
 
 
 def op9_language(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -343,3 +343,17 @@ def test_url_filter_covers_subdomains_of_any_depth(spark):
     for i, h in enumerate(hosts):
         found = sorted(d for d in listed if h == d or h.endswith("." + d))
         assert got[i]["blocked"] == bool(found) and got[i]["n_lists"] == len(found) and got[i]["pattern"] == min(found, default=None), h
+
+
+def test_mixing_query_is_in_training_order(spark, sf):
+    d = spark.read.parquet(f"{sf}/documents.parquet")
+    out = queries.op8_mixing(spark, sf)
+    got = [r for part in out.rdd.glom().collect() for r in part]
+    taken = {r["_d"]: (r["size"], r["source_size"], r["target"], r["taken"]) for r in mixing.mix(d).collect()}
+    assert {r["doc_id"]: (r["size"], r["source_size"], r["target"], r["taken"]) for r in got} == taken and len(got) == d.count()
+    order = defaultdict(list)
+    for r in sorted(mixing.training_order(d).collect(), key=lambda r: r["pass"]):
+        order[r["_d"]].append(r["position"])
+    assert all(r["positions"] == order.get(r["doc_id"], []) and bool(r["positions"]) == (r["taken"] > 0) for r in got)
+    first = [r["positions"][0] if r["positions"] else 2.0 for r in got]
+    assert first == sorted(first) and len(set(first)) > 100
