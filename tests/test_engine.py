@@ -201,3 +201,19 @@ def test_updates(spark):
     assert [r["__m"] for r in signed(df, "op").orderBy("a").collect()] == [1, -1]
     assert [r for r, _ in round_robin({"x": [1, 2], "y": [3]})] == ["x", "y", "x"]
     assert inserts(df).first()["__m"] == 1 and COUNT == "__n"
+
+
+@pytest.mark.parametrize("name", ["matrix_chain", "matrix_rank_one_update", "matrix_dense_update", "matrix_rank_r_update", "matrix_dense_blocks"])
+def test_matrices_take_every_embedding(spark, tmp_path, name):
+    from ringview.queries import QUERIES
+
+    rng = np.random.default_rng(4)
+    x = rng.integers(-300, 300, (530, 64))
+    spark.createDataFrame([(i, [float(v) / 1000 for v in row]) for i, row in enumerate(x)], "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    i = np.arange(64)
+    change = sum(np.outer((k * i) % 7 - 3, (k * i) % 5 - 2) for k in {"matrix_rank_one_update": (1,), "matrix_dense_update": (1,), "matrix_rank_r_update": (1, 2)}.get(name, ())) if "update" in name else 0
+    want = x @ (x[:64] + change) @ x.T
+    got = np.zeros_like(want)
+    d = QUERIES[name](spark, str(tmp_path)).toPandas()
+    got[d["i"], d["j"]] = d["v"]
+    assert np.array_equal(got, want)
