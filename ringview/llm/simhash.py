@@ -14,6 +14,7 @@ pairs together with a stated recall, and each pair is decided by its exact simil
 
 from __future__ import annotations
 
+import functools
 import math
 from fractions import Fraction
 
@@ -27,10 +28,14 @@ from ringview.llm.common import FOLD, SPACE, bit_counts, components, keyed, lean
 from ringview.llm.components import connected_components
 
 #: Fingerprints of a key that are compared with each other at once.
-CROWD = 256
+CROWD = 512
 #: Hash functions of one fingerprint of shingles; share of the pairs at the least similarity that must meet in a key, and
 #: share of them that the comparison of all smallest values may lose after that.
 ROWS, RECALL, LOSS = 4, 0.9995, 1e-5
+#: Rounds of comparison with leaders; members of a leader that one group of rows takes.
+ROUNDS, SHARE = 2, 512
+#: Bytes of rows that a task holds; crowds of a cluster that is compared as one; shingles that weigh as much as one text more.
+HELD, LARGE, WEIGHT = 32 << 20, 16, 256
 _P1, _P2, _P3, _P4, _P5 = (np.uint64(x) for x in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
 
 
@@ -182,17 +187,20 @@ def keys(fp: Column, bits: int, m: int) -> Column:
     return F.array(*out)
 
 
-def chained(x: np.ndarray, bits: int, m: int) -> np.ndarray:
-    """Which differences (XOR of two fingerprints) have a chain all of whose prefixes keep their proportional budget."""
-    each = [np.bitwise_count((x >> np.uint64(a)) & np.uint64((1 << (b - a)) - 1)).astype(np.int64) for a, b in _segments(m)]
-    found = np.zeros(len(x), dtype=bool)
-    for i in range(m):
-        total, fits = np.zeros(len(x), np.int64), np.ones(len(x), dtype=bool)
-        for length in range(1, m + 1):
-            total += each[(i + length - 1) % m]
-            fits &= total * m <= length * bits
-        found |= fits
-    return found
+def chained(x: np.ndarray, start: np.ndarray, bits: int, m: int) -> tuple[np.ndarray, list[int]]:
+    """Which differences (XOR of two fingerprints) have a chain from segment ``start`` all of whose prefixes keep their
+    proportional budget, as places, and how many were left after 1, 2, ... segments.  The last prefix is the whole ring,
+    whose budget is ``bits``."""
+    edge = _segments(m)
+    low, mask = (np.array(e, dtype=np.uint64) for e in ([a for a, _ in edge], [(1 << (b - a)) - 1 for a, b in edge]))
+    alive, total, left = np.arange(len(x)), np.zeros(len(x), np.int64), []
+    for length in range(1, m + 1):
+        k = (start[alive] + length - 1) % m
+        total = total + np.bitwise_count((x[alive] >> low[k]) & mask[k])
+        fits = total * m <= length * bits
+        alive, total = alive[fits], total[fits]
+        left.append(len(alive))
+    return alive, left
 
 
 def _grouped(work):
@@ -203,7 +211,7 @@ def _grouped(work):
         held: list[pa.RecordBatch] = []
         for batch in batches:
             held.append(batch)
-            if sum(x.num_rows for x in held) >= 20_000:
+            if sum(x.num_rows for x in held) >= 20_000 or sum(x.nbytes for x in held) >= HELD:
                 yield from whole(held, False)
         yield from whole(held, True)
 
@@ -243,17 +251,15 @@ def _bytes(t: pa.Table, name: str, kind: str) -> np.ndarray:
 
 
 def _compare(bits: int, m: int, check_bits: int | None):
-    """Links of each group as a forest."""
+    """Links of each group as a forest.  A pair is followed along the chain that starts at its key's segment; if it breaks
+    there, another key of the pair has the chain that does not."""
 
     def work(t, group):
-        fp, node = t.column("fp").to_numpy().view(np.uint64), t.column("node").to_numpy()
+        fp, node, start = t.column("fp").to_numpy().view(np.uint64), t.column("node").to_numpy(), (t.column("key").to_numpy() >> 56) // 2
         sig = _bytes(t, "sig", "<u8") if check_bits is not None else None
         us, vs, n = [], [], 0
         for a, b in _met(t, group):
-            x = fp[a] ^ fp[b]
-            near = np.bitwise_count(x) <= bits
-            a, b, x = a[near], b[near], x[near]
-            ok = chained(x, bits, m)
+            ok, _ = chained(fp[a] ^ fp[b], start[a], bits, m)
             a, b = a[ok], b[ok]
             if sig is not None and len(a):
                 ok = np.bitwise_count(sig[a] ^ sig[b]).sum(axis=1) <= check_bits
@@ -271,57 +277,81 @@ def _compare(bits: int, m: int, check_bits: int | None):
     return _grouped(work)
 
 
-def _candidates(similarity: Fraction, least: int, best: bool):
-    """Pairs of different roots, u before v, whose sizes allow the similarity and that have ``least`` smallest values in
-    common: all of them, or for each v of a group the ``best`` u and each node that is in a pair with itself."""
+def _cross_root(similarity: Fraction, least: int, similar=None):
+    """A forest of the pairs of different roots whose sizes allow the similarity and that have ``least`` smallest values in
+    common; with ``similar``, of those that it confirms from the sets."""
 
     def work(t, group):
-        node, root, size, sig = t.column("node").to_numpy(), t.column("root").to_numpy(), t.column("size").to_numpy(), _bytes(t, "sig", "u1")
-        top, to, seen = np.zeros(len(group), np.int64), np.zeros(len(group), np.int64), np.zeros(len(group), bool)
+        node, root, size = (t.column(c).to_numpy() for c in ("node", "root", "size"))
+        sig = _bytes(t, "sig", "u1")
+        sets = [np.frombuffer(x.as_buffer(), dtype="<u8") for x in t.column("set")] if similar else None
         us, vs, n = [], [], 0
         for a, b in _met(t, group):
             ok = (root[a] != root[b]) & (np.minimum(size[a], size[b]) * similarity.denominator >= np.maximum(size[a], size[b]) * similarity.numerator)
             a, b = a[ok], b[ok]
-            common = (sig[a] == sig[b]).sum(axis=1)
-            ok = common >= least
-            a, b, common = a[ok], b[ok], common[ok]
-            if best:
-                seen[a] = seen[b] = True
-                more = common > top[b]  # a b is here once at most
-                top[b[more]], to[b[more]] = common[more], a[more]
-            elif len(a):
-                us.append(node[a])
-                vs.append(node[b])
-                n += len(a)
-                if n > 200_000:
-                    yield _pairs(us, vs)
-                    us, vs, n = [], [], 0
-        if best:
-            b, own = np.flatnonzero(top), np.flatnonzero(seen)
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate((node[to[b]], node[own]))), pa.array(np.concatenate((node[b], node[own]))), pa.array(np.concatenate((top[b], np.zeros(len(own), np.int64))))], names=["u", "v", "common"])
-        elif us:
-            yield _pairs(us, vs)
+            ok = (sig[a] == sig[b]).sum(axis=1) >= least
+            a, b = a[ok], b[ok]
+            if sets is not None and len(a):
+                ok = np.array([similar(sets[i], sets[j]) for i, j in zip(a.tolist(), b.tolist(), strict=True)], dtype=bool)
+                a, b = a[ok], b[ok]
+            us.append(node[a])
+            vs.append(node[b])
+            n += len(a)
+            if n > 200_000:
+                us, vs = ([x] for x in reversed(components(np.concatenate(us), np.concatenate(vs))))
+                n = len(us[0])
+        if n:
+            v, u = components(np.concatenate(us), np.concatenate(vs))
+            yield pa.RecordBatch.from_arrays([pa.array(u[u != v]), pa.array(v[u != v])], names=["u", "v"])
 
     return _grouped(work)
 
 
-def _pairs(us: list[np.ndarray], vs: list[np.ndarray]) -> pa.RecordBatch:
-    pair = np.unique(np.stack((np.concatenate(us), np.concatenate(vs)), axis=1), axis=0)
-    return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(pair[:, 0])), pa.array(np.ascontiguousarray(pair[:, 1])), pa.array(np.zeros(len(pair), np.int64))], names=["u", "v", "common"])
+def at_least(similarity: Fraction):
+    """Whether two sorted arrays of distinct numbers have this Jaccard similarity or more."""
+
+    def similar(a: np.ndarray, b: np.ndarray) -> bool:
+        if not len(a) or not len(b):
+            return len(a) == len(b)
+        both = int((a[np.minimum(np.searchsorted(a, b), len(a) - 1)] == b).sum())
+        return both * similarity.denominator >= (len(a) + len(b) - both) * similarity.numerator
+
+    return similar
+
+
+def _toward_leader(least: int):
+    """Rows of a text beside the leader of one of its keys: how many smallest values they share, if ``least`` or more."""
+
+    @lean
+    def run(batches):
+        for batch in batches:
+            t = pa.Table.from_batches([batch])
+            common = (_bytes(t, "sig", "u1") == _bytes(t, "lsig", "u1")).sum(axis=1) if batch.num_rows else np.zeros(0, np.int64)
+            keep = common >= least
+            yield pa.RecordBatch.from_arrays([batch.column("u").filter(pa.array(keep)), batch.column("v").filter(pa.array(keep)), pa.array(common[keep].astype(np.int64))], names=["u", "v", "common"])
+
+    return run
 
 
 def _alike(similarity: Fraction):
-    """Of pairs with both sets: those of at least this Jaccard similarity."""
+    """Sets by group, the group's first one before its members: the members of at least this Jaccard similarity to it."""
+    similar = at_least(similarity)
 
     @lean
     def run(batches):
+        lead, of = None, None
         for batch in batches:
-            keep = []
-            for x, y in zip(batch.column("su"), batch.column("sv"), strict=True):
-                a, b = (np.frombuffer(s.as_buffer(), dtype="<u8") for s in (x, y))
-                both = len(np.intersect1d(a, b, assume_unique=True))
-                keep.append(both * similarity.denominator >= (len(a) + len(b) - both) * similarity.numerator)
-            yield batch.select(["u", "v"]).filter(pa.array(keep, pa.bool_()))
+            us, vs = [], []
+            for group, member, node, s in zip(*(batch.column(c).to_pylist() for c in ("group", "member", "node")), batch.column("set"), strict=True):
+                own = np.frombuffer(s.as_buffer(), dtype="<u8")
+                if not member:
+                    lead, of = own, group
+                    continue
+                assert of == group and lead is not None
+                if similar(lead, own):
+                    us.append(group)
+                    vs.append(node)
+            yield pa.RecordBatch.from_arrays([pa.array(us, pa.int64()), pa.array(vs, pa.int64())], names=["u", "v"])
 
     return run
 
@@ -334,6 +364,20 @@ def _deal(index: DataFrame, count: DataFrame, crowd: int) -> DataFrame:
     return dealt.repartition("key", "bi", "bj").sortWithinPartitions("key", "bi", "bj", "node")
 
 
+def _deal_roots(rows: DataFrame, crowd: int, weight: Column) -> DataFrame:
+    """Rows (key, node, root, ...) of keys with several roots, in pairs of blocks of a key of about ``crowd`` by weight.
+    The largest root of a key has blocks of its own, which do not meet each other: no pair of one root is needed."""
+    per = rows.groupBy("key", "root").agg(F.sum(weight).alias("n")).groupBy("key").agg(F.max(F.struct("n", "root")).alias("top"), F.sum("n").alias("n"), F.count("*").alias("k")).where("k > 1")
+    part = lambda n: F.ceil(n / crowd).cast("int")
+    per = materialize(per.select("key", F.col("top.root").alias("major"), part(F.col("n") - F.col("top.n")).alias("few"), part(F.col("top.n")).alias("many")), "several")
+    own = F.xxhash64("node")
+    dealt = rows.join(per, "key").withColumn("major", F.col("root") == F.col("major"))
+    dealt = dealt.withColumn("b", F.when(F.col("major"), F.col("few") + F.pmod(own, F.col("many"))).otherwise(F.pmod(own, F.col("few"))).cast("int"))
+    dealt = dealt.select("*", F.explode(F.sequence(F.lit(0), F.when(F.col("major"), F.col("few")).otherwise(F.col("few") + F.col("many")) - 1)).alias("o"))
+    dealt = dealt.withColumn("bi", F.least("b", "o")).withColumn("bj", F.greatest("b", "o")).drop("few", "many", "major", "o")
+    return dealt.repartition("key", "bi", "bj").sortWithinPartitions("key", "bi", "bj", "node")
+
+
 def link(nodes: DataFrame, bits: int, m: int | None = None, check_bits: int | None = None, crowd: int = CROWD) -> DataFrame:
     """Edges (u, v) with the components of the graph "differ in at most ``bits`` bits" (and, of ``sig``, in at most
     ``check_bits``).  ``nodes``: node long, fp long, sig binary, one row each, in the shared folder."""
@@ -413,40 +457,75 @@ def near_duplicates(docs: DataFrame, text_col: str = "text", id_col: str = "doc_
     return out.select("_d", "_h", "fp", F.when(F.col("n").isNull(), F.col("_d")).otherwise(F.col("component_id")).alias("component_id"), (F.coalesce("n", F.lit(1)) - 1).alias("links"))
 
 
-def similar_documents(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", similarity: float = 0.8, recall: float = RECALL, crowd: int = CROWD, one_task: int = 1_000_000) -> DataFrame:
+def similar_documents(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", similarity: float = 0.8, recall: float = RECALL, crowd: int = CROWD, one_task: int = 1_000_000, rounds: int = ROUNDS) -> DataFrame:
     """One row per document: _d, _h, _n (row number), root (row number of its group), kept.
 
     Texts link if the Jaccard similarity of their sets of five-word shingles is ``similarity`` or more.  Pairs are found
-    by equal fingerprints (``recall`` of those at ``similarity``, more above it) and decided by the sets: first each text with
-    the one before it that seems nearest, then all pairs that these links leave in different groups.  The smallest id
-    of a group stays (null ids last).  Texts without words link with each other only.
+    by equal fingerprints (``recall`` of those at ``similarity``, more above it) and decided by the sets.  In each of some
+    ``rounds`` a text is compared with the leader, of those of its fingerprints, that seems nearest: a group of many
+    copies is then one root, and its pairs are never listed.  What the links so far leave in different groups is compared
+    pair by pair inside tasks: first by size and smallest values, which gives clusters of texts that may link, then, cluster
+    by cluster (a large one key by key), by the sets.  Only forests of links leave the tasks.  The smallest id of a group
+    stays (null ids last).  Texts without words link with each other only.
     """
     n, exact = bands(similarity, recall), Fraction(str(similarity))
     least = least_common(similarity, n * ROWS)
     found = materialize(keyed(docs, id_col, text_col).mapInArrow(_passage_rows(n), "_d long, _h long, size long, d0 long, d1 long, keys array<long>, sig binary").withColumn("_n", F.monotonically_increasing_id()), "passages")
     one = F.min(F.struct("_n", "_d", "_h", "keys", "sig")).alias("one")
     nodes = materialize(found.groupBy("size", "d0", "d1").agg(one, F.count("*").alias("n")).select("size", "d0", "d1", "n", F.col("one._n").alias("node"), "one._d", "one._h", "one.keys", "one.sig"), "nodes")
-    index = nodes.select(F.explode("keys").alias("key"), "node", "size", "sig")
-    count = materialize(index.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "keys")
-    shape = "u long, v long, common long"
-    near = materialize(_deal(index.withColumn("root", F.col("node")), count, crowd).mapInArrow(_candidates(exact, least, True), shape), "near")
-    wanted = near.select(F.explode(F.array("u", "v")).alias("node")).distinct().join(nodes.select("node", "_d", "_h"), "node")
-    text = keyed(docs, id_col, text_col).alias("t").join(materialize(wanted, "wanted").alias("w"), F.expr("t._d <=> w._d and t._h = w._h")).select("w.node", "t._t")
-    sets = materialize(text.mapInArrow(_set_rows, "node long, set binary").dropDuplicates(["node"]), "sets")
+    index = nodes.select(F.explode("keys").alias("key"), "node")
+    shared = materialize(index.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "keys")
+    own = index.join(shared, "key").groupBy("node").agg(F.collect_list("key").alias("keys"))  # at most a key for each fingerprint
+    live = materialize(nodes.select("node", "_d", "_h", "size", "sig").join(own, "node"), "live")
+    text = keyed(docs, id_col, text_col).alias("t").join(live.select("node", "_d", "_h").alias("w"), F.expr("t._d <=> w._d and t._h = w._h")).select("w.node", "t._t")
+    sets = text.mapInArrow(_set_rows, "node long, set binary")
+    repeated = found.groupBy("_d", "_h").count().where("count > 1")
+    sets = materialize(sets if repeated.isEmpty() else sets.dropDuplicates(["node"]), "sets")
+    root: DataFrame | None = None
+
+    def rooted() -> DataFrame:
+        own_root = live.withColumn("root", F.col("node")) if root is None else live.join(root, "node", "left").withColumn("root", F.coalesce("root", "node"))
+        return own_root.select("keys", "node", "size", "sig", "root")
+
+    def by_key() -> DataFrame:
+        return rooted().withColumn("key", F.explode("keys")).drop("keys")
 
     def links(pairs: DataFrame) -> DataFrame:
-        both = pairs.join(sets.select(F.col("node").alias("u"), F.col("set").alias("su")), "u").join(sets.select(F.col("node").alias("v"), F.col("set").alias("sv")), "v")
-        return materialize(both.select("u", "v", "su", "sv").mapInArrow(_alike(exact), "u long, v long"), "links")
-
-    first = near.where("u < v").groupBy("v").agg(F.min(F.struct((-F.col("common")).alias("x"), "u")).alias("b")).select(F.col("b.u").alias("u"), "v")
-    first = materialize(first, "pairs")
-    edges = links(first)
-    root = materialize(connected_components(edges, one_task), "roots")
-    open_ = index.join(root, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    rest = _deal(open_, count, crowd).mapInArrow(_candidates(exact, least, False), shape).select("u", "v").distinct()
-    rest = materialize(rest.join(first, ["u", "v"], "left_anti"), "pairs")
-    if not rest.isEmpty():
-        root = materialize(connected_components(edges.unionByName(links(rest)), one_task), "roots")
+        per = pairs.groupBy("u").agg(F.ceil(F.count("*") / SHARE).cast("int").alias("parts"))
+        member = pairs.join(per, "u").select(F.col("v").alias("node"), F.col("u").alias("group"), F.pmod(F.xxhash64("v"), F.col("parts")).cast("int").alias("part"), F.lit(True).alias("member"))
+        lead = per.select(F.col("u").alias("node"), F.col("u").alias("group"), F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(False).alias("member"))
+        roles = materialize(lead.unionByName(member), "roles")
+        met = sets.join(roles, "node").repartition("group", "part").sortWithinPartitions("group", "part", "member")
+        return materialize(met.select("group", "member", "node", "set").mapInArrow(_alike(exact), "u long, v long"), "links")
+
+    edges: list[DataFrame] = []
+
+    def follow(found_links: DataFrame) -> DataFrame:
+        edges.append(found_links)
+        return materialize(connected_components(functools.reduce(DataFrame.unionByName, edges), one_task), "roots")
+
+    for turn in range(rounds):
+        rows = by_key()
+        first = F.min(F.struct(F.xxhash64("key", "node", F.lit(turn)).alias("x"), F.col("node").alias("u"), F.col("size").alias("lsize"), F.col("sig").alias("lsig"), F.col("root").alias("lroot"))).alias("l")
+        lead = rows.groupBy("key").agg(first, F.min("root").alias("a"), F.max("root").alias("b")).where("a <> b").select("key", "l.u", "l.lsize", "l.lsig", "l.lroot")
+        met = rows.join(materialize(lead, "leaders"), "key").where("root <> lroot").where(F.least("size", "lsize") * exact.denominator >= F.greatest("size", "lsize") * exact.numerator)
+        near = met.select("u", F.col("node").alias("v"), "sig", "lsig").mapInArrow(_toward_leader(least), "u long, v long, common long")
+        pairs = materialize(near.groupBy("v").agg(F.max(F.struct("common", "u")).alias("b")).select(F.col("b.u").alias("u"), "v"), "pairs")
+        if pairs.isEmpty():
+            break
+        root = follow(links(pairs))
+    shape = "u long, v long"
+    maybe = materialize(_deal_roots(by_key(), crowd, F.lit(1)).mapInArrow(_cross_root(exact, least), shape), "maybe")
+    cluster = materialize(connected_components(maybe, one_task).select("node", F.col("root").alias("cluster")), "clusters")
+    large = materialize(cluster.groupBy("cluster").agg(F.count("*").alias("n")).where(F.col("n") > LARGE * crowd).select("cluster"), "large")
+    small = cluster.join(large, "cluster", "left_anti").select("node", F.col("cluster").alias("key"))
+    at = rooted().drop("keys").join(small, "node")
+    if not large.isEmpty():
+        at = at.unionByName(by_key().join(cluster.join(large, "cluster", "left_semi"), "node", "left_semi"))
+    dealt = _deal_roots(at.join(sets, "node"), crowd, F.col("size") / WEIGHT + 1)
+    last = materialize(dealt.mapInArrow(_cross_root(exact, least, at_least(exact)), shape), "links")
+    if root is None or not last.isEmpty():
+        root = follow(last)
     group = materialize(nodes.join(root, "node", "left").where("n > 1 or root is not null").select("size", "d0", "d1", F.coalesce("root", "node").alias("root")), "groups")
     named = materialize(found.join(group, ["size", "d0", "d1"], "left").select("_d", "_h", "_n", F.coalesce("root", "_n").alias("root")), "named")
     best = materialize(named.groupBy("root").agg(F.min(F.struct(F.col("_d").isNull().alias("x"), "_d", "_n")).alias("best"), F.count("*").alias("size")).where("size > 1"), "best")
