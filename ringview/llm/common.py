@@ -16,7 +16,6 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: Byte table that lower-cases A-Z only.
@@ -27,13 +26,17 @@ SPACE = np.zeros(256, dtype=bool)
 SPACE[[0x20, *range(0x09, 0x0E)]] = True
 
 _own_folder: list[str] = []
+_tables: list[str] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; a temporary one only where that is unset (tests on one machine)."""
+    """The folder of spark.checkpoint.dir; a temporary one only where that is unset and all runs on one machine (tests)."""
     path = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if path:
         return path.rstrip("/")
+    master = spark.sparkContext.master
+    if not master.startswith("local") or master.startswith("local-cluster"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not _own_folder:
         _own_folder.append(tempfile.mkdtemp(prefix="ringview-"))
         atexit.register(shutil.rmtree, _own_folder[0], True)
@@ -41,7 +44,8 @@ def shared_folder(spark: SparkSession) -> str:
 
 
 def table_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_folder(spark)}/{tag}-{uuid.uuid4().hex}"
+    _tables.append(f"{shared_folder(spark)}/{tag}-{uuid.uuid4().hex}")
+    return _tables[-1]
 
 
 def materialize(df: DataFrame, tag: str) -> DataFrame:
@@ -51,32 +55,48 @@ def materialize(df: DataFrame, tag: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def row_hash(df: DataFrame) -> Column:
-    """Hash of all columns that can be hashed; rows with equal id and hash are copies of one row."""
-    plain = [f.name for f in df.schema.fields if not isinstance(f.dataType, (T.MapType, T.VariantType))]
-    return F.xxhash64(*[F.col(f"`{c}`") for c in plain])
-
-
-def keyed(df: DataFrame, id_col: str, text_col: str | None, *more: Column) -> DataFrame:
-    """(_d, _h[, _t]): id (null kept), row hash and text, whatever other columns are called."""
-    text = [F.col(f"`{text_col}`").cast("string").alias("_t")] if text_col else []
-    return df.select(F.col(f"`{id_col}`").cast("long").alias("_d"), row_hash(df).alias("_h"), *text, *more)
-
-
-def same_row(left: str, right: str) -> Column:
-    return F.col(f"{left}._d").eqNullSafe(F.col(f"{right}._d")) & (F.col(f"{left}._h") == F.col(f"{right}._h"))
-
-
-def only_rows(df: DataFrame, keys: DataFrame, id_col: str) -> DataFrame:
-    """Rows of ``df`` whose (_d, _h) is in ``keys`` (a row for each kept row, with ``_copies``: how many copies of it
-    were there).  Of copies of one row as many stay as ``keys`` has, namely one."""
-    named = df.select("*", F.col(f"`{id_col}`").cast("long").alias("__rv_d"), row_hash(df).alias("__rv_h"))
-    k = keys.alias("k")
-    on = F.col("d.__rv_d").eqNullSafe(F.col("k._d")) & (F.col("d.__rv_h") == F.col("k._h"))
-    columns = [F.col(f"d.`{c}`") for c in df.columns]
-    single = named.alias("d").join(k.where("k._copies = 1"), on, "left_semi").select(*columns)
-    repeated = named.alias("d").join(k.where("k._copies > 1"), on, "left_semi")
-    return single.unionByName(repeated.dropDuplicates(["__rv_d", "__rv_h"]).select(*[f"`{c}`" for c in df.columns]))
+@contextlib.contextmanager
+def only_result(spark: SparkSession):
+    """Tables written inside are deleted at the end; what is to stay is written last, under a path from ``keep``."""
+    before = len(_tables)
+    kept: list[str] = []
+
+    def keep(df: DataFrame, tag: str) -> DataFrame:
+        out = materialize(df, tag)
+        kept.append(_tables[-1])
+        return out
+
+    try:
+        yield keep
+    finally:
+        path = spark._jvm.org.apache.hadoop.fs.Path
+        for t in [t for t in _tables[before:] if t not in kept]:
+            p = path(t)
+            p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+            _tables.remove(t)
+
+
+def row_hash(*columns: Column) -> Column:
+    """Tells rows of one id apart by the columns that an operator reads; rows with equal id and hash are copies of each
+    other to it."""
+    return F.xxhash64(*[c.cast("string") for c in columns])
+
+
+def keyed(df: DataFrame, id_col: str, text_col: str, *more: Column) -> DataFrame:
+    """(_d, _h, _t): id (null kept), hash of the text, and text, whatever other columns are called; no others are read."""
+    text = F.col(f"`{text_col}`").cast("string")
+    return df.select(F.col(f"`{id_col}`").cast("long").alias("_d"), row_hash(text).alias("_h"), text.alias("_t"), *more)
+
+
+def only_rows(df: DataFrame, keys: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """Rows of ``df`` whose (_d, _h) is in ``keys`` (a row for each kept row, with ``_copies``: how many rows had that id
+    and text).  Of copies one stays, any of them."""
+    whole = F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("_all")
+    named = df.select(whole, F.col(f"`{id_col}`").cast("long").alias("_d"), row_hash(F.col(f"`{text_col}`")).alias("_h")).alias("d")
+    on = F.expr("d._d <=> k._d and d._h = k._h")
+    single = named.join(keys.where("_copies = 1").alias("k"), on, "left_semi")
+    repeated = named.join(keys.where("_copies > 1").alias("k"), on, "left_semi").dropDuplicates(["_d", "_h"])
+    return single.unionByName(repeated).select("_all.*")
 
 
 def text_view(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:

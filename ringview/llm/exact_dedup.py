@@ -96,4 +96,4 @@ def deduplicate(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id")
     """The rows of ``docs`` that stay, with their own columns."""
     found = materialize(find_copies(docs, text_col, id_col), "copies")
     copies = found.groupBy("_d", "_h").agg(F.count("*").alias("_copies"), F.max("kept").alias("kept")).where("kept").drop("kept")
-    return only_rows(docs, materialize(copies, "kept"), id_col)
+    return only_rows(docs, materialize(copies, "kept"), id_col, text_col)

@@ -46,9 +46,13 @@ def targets(sizes: DataFrame, weights: Sequence[float] = WEIGHTS, most: int = MO
     return s.select("source", "source_size", "rank", "weight", F.least(F.col("cap"), F.coalesce(F.col("at") * F.col("weight"), F.col("cap"))).alias("target"))
 
 
+def _hash(text_col: str, source_col: str) -> Column:
+    return row_hash(F.col(f"`{text_col}`"), F.col(f"`{source_col}`"))
+
+
 def _ordered(docs: DataFrame, text_col: str, id_col: str, source_col: str, weights, most) -> DataFrame:
     """_d, _h, source, size, source_size, rank, target, before: words of the source that stand before the document."""
-    d = docs.select(F.col(f"`{id_col}`").cast("long").alias("_d"), row_hash(docs).alias("_h"), F.col(f"`{source_col}`").cast("string").alias("source"), words(F.col(f"`{text_col}`")).alias("size"))
+    d = docs.select(F.col(f"`{id_col}`").cast("long").alias("_d"), _hash(text_col, source_col).alias("_h"), F.col(f"`{source_col}`").cast("string").alias("source"), words(F.col(f"`{text_col}`")).alias("size"))
     d = materialize(d.withColumn("place", F.xxhash64("_h", "_d")), "sizes")
     per = materialize(d.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("n")), "sources")
     goal = materialize(targets(per.select("source", "source_size"), weights, most), "targets")
@@ -127,14 +131,18 @@ def training_plan(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id
 
 
 def mixed_documents(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", source_col: str = "source", **how) -> DataFrame:
-    """The rows of ``docs`` as the mix uses them: once for each pass that takes at least half of a document's words,
-    range-sorted by training position."""
+    """The rows of ``docs`` as the mix uses them: once for each pass, range-sorted by training position.
+
+    A pass that ends inside a document is rounded to whole documents: the row is there if at least half of its words are
+    taken.  That touches one document of a source, so the words of a source differ from its target by at most half a
+    document; a source of which only the first part of one document is wanted may have no row.
+    """
     order = training_order(docs, text_col, id_col, source_col, **how).where("2 * words >= size")
     order = order.groupBy("_d", "_h", "pass").agg(F.collect_list("position").alias("positions"))
     order = order.groupBy("_d", "_h").agg(F.flatten(F.collect_list("positions")).alias("positions"), F.max(F.size("positions")).alias("copies"))
     # copies of a whole row: one of them stands at the positions of all
     order = materialize(order, "order")
-    named = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_all"), F.col(f"`{id_col}`").cast("long").alias("_d"), row_hash(docs).alias("_h"))
+    named = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_all"), F.col(f"`{id_col}`").cast("long").alias("_d"), _hash(text_col, source_col).alias("_h"))
     single = named.alias("l").join(order.where("copies = 1").alias("r"), F.expr("l._d <=> r._d and l._h = r._h")).select("l._all", "r.positions")
     many = named.alias("l").join(order.where("copies > 1").alias("r"), F.expr("l._d <=> r._d and l._h = r._h")).select("l._d", "l._h", "l._all", "r.positions")
     many = many.dropDuplicates(["_d", "_h"]).select("_all", "positions")

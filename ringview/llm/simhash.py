@@ -536,4 +536,4 @@ def drop_similar(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id"
     """The rows of ``docs`` that stay, one of each group, with their own columns."""
     found = materialize(similar_documents(docs, text_col, id_col, **how), "similar")
     copies = found.groupBy("_d", "_h").agg(F.count("*").alias("_copies"), F.max("kept").alias("kept")).where("kept").drop("kept")
-    return only_rows(docs, materialize(copies, "kept"), id_col)
+    return only_rows(docs, materialize(copies, "kept"), id_col, text_col)
