@@ -20,14 +20,15 @@ _EOL = "\r\n"
 def _header(date: str) -> Column:
     """Header block of a record as it stands in a WARC file, with the empty line that ends it."""
     line = lambda name, value: F.concat(F.lit(f"{name}: "), value, F.lit(_EOL))
+    record = lambda d, n: F.concat(F.lit("<urn:record:"), F.coalesce(d.cast("string"), F.lit("none")), F.lit(":"), n.cast("string"), F.lit(">"))
     uri = F.regexp_replace(F.coalesce("url", F.lit("")), r"[\r\n]+", "%0A")
     revisit = F.col("record_type") == "revisit"
     optional = lambda name, value: F.when(value.isNotNull(), line(name, value)).otherwise(F.lit(""))
     return F.concat(
-        F.lit(f"WARC/1.1{_EOL}"), line("WARC-Type", F.col("record_type")), line("WARC-Record-ID", F.concat(F.lit("<urn:record:"), F.coalesce(F.col("_d").cast("string"), F.lit("none")), F.lit(":"), F.col("_n").cast("string"), F.lit(">"))),
+        F.lit(f"WARC/1.1{_EOL}"), line("WARC-Type", F.col("record_type")), line("WARC-Record-ID", record(F.col("_d"), F.col("_n"))),
         line("WARC-Date", F.lit(date)), F.when(F.col("url").isNotNull(), line("WARC-Target-URI", uri)).otherwise(F.lit("")), line("WARC-Payload-Digest", F.concat(F.lit("sha256:"), F.col("digest"))),
         F.when(revisit, line("WARC-Profile", F.lit("http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"))).otherwise(F.lit("")),
-        optional("WARC-Refers-To", F.when(revisit, F.concat(F.lit("<urn:record:"), F.coalesce(F.col("refers_to").cast("string"), F.lit("none")), F.lit(">")))),
+        optional("WARC-Refers-To", F.when(revisit, record(F.col("first._d"), F.col("first._n")))),
         line("Content-Type", F.lit("text/html; charset=utf-8")), line("Content-Length", F.when(revisit, F.lit("0")).otherwise(F.col("size").cast("string"))), F.lit(_EOL),
     )
 
@@ -40,7 +41,7 @@ def write_archive(pages: DataFrame, path: str, payload_col: str = "html", id_col
     """
     url = F.col(f"`{url_col}`").cast("string") if url_col else F.lit(None).cast("string")
     payload = F.coalesce(F.col(f"`{payload_col}`").cast("string"), F.lit(""))
-    page = pages.select(F.col(f"`{id_col}`").cast("long").alias("_d"), row_hash(pages).alias("_h"), url.alias("url"), F.encode(payload, "utf-8").alias("payload"))
+    page = pages.select(F.col(f"`{id_col}`").cast("long").alias("_d"), row_hash(url, payload).alias("_h"), url.alias("url"), F.encode(payload, "utf-8").alias("payload"))
     light = page.select("_d", "_h", "url", F.sha2("payload", 256).alias("digest"), F.length("payload").cast("long").alias("size"), F.xxhash64("payload").alias("second"))
     light = materialize(light.withColumn("_n", F.monotonically_increasing_id()), "records")
     first = F.min(F.struct(F.col("_d").isNull().alias("x"), "_d", "_n", "_h"))
@@ -55,22 +56,23 @@ def write_archive(pages: DataFrame, path: str, payload_col: str = "html", id_col
     store.write.parquet(f"{path}/payloads")
     record = light.join(group.where("records > 1"), "digest", "left")
     revisit = (F.col("size") >= least) & (F.col("first._n") != F.col("_n"))
-    record = record.select("*", F.when(F.coalesce(revisit, F.lit(False)), "revisit").otherwise("response").alias("record_type"), F.when(revisit, F.col("first._d")).alias("refers_to"))
+    record = record.select("*", F.when(F.coalesce(revisit, F.lit(False)), "revisit").otherwise("response").alias("record_type"))
     record.select("digest", F.encode(_header(date), "utf-8").alias("header"), F.col("_n").alias("position")).write.parquet(f"{path}/headers")
 
 
 def _field(name: str) -> Column:
-    return F.regexp_extract(F.decode("header", "utf-8"), rf"(?m)^{name}: ([^\r\n]*)", 1)
+    """Value of a header field; lines end with CR LF only, whatever else a URL may hold."""
+    return F.regexp_extract(F.decode("header", "utf-8"), rf"\r\n{name}: ([^\r\n]*)", 1)
 
 
 def read_headers(spark: SparkSession, path: str) -> DataFrame:
     """Records by their headers: record_id, page_id, record_type, url, digest, refers_to, length and the header itself."""
     ident = F.regexp_extract(_field("WARC-Record-ID"), "<urn:record:([^:]*):", 1)
-    target = F.regexp_extract(_field("WARC-Refers-To"), "<urn:record:([^>]*)>", 1)
+    target = F.regexp_extract(_field("WARC-Refers-To"), "<urn:record:([^:]*):", 1)
     url = _field("WARC-Target-URI")
     number = lambda c: c.try_cast("long")
     return spark.read.parquet(f"{path}/headers").select(
-        _field("WARC-Record-ID").alias("record_id"), number(ident).alias("page_id"), _field("WARC-Type").alias("record_type"), F.when(F.contains(F.decode("header", "utf-8"), F.lit("WARC-Target-URI: ")), url).alias("url"),
+        _field("WARC-Record-ID").alias("record_id"), number(ident).alias("page_id"), _field("WARC-Type").alias("record_type"), F.when(F.contains(F.decode("header", "utf-8"), F.lit(f"{_EOL}WARC-Target-URI: ")), url).alias("url"),
         F.regexp_extract(_field("WARC-Payload-Digest"), "sha256:([0-9a-f]{64})", 1).alias("digest"), number(target).alias("refers_to"), _field("Content-Length").cast("long").alias("length"), "header", "position",
     )
 
