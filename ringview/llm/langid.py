@@ -8,7 +8,6 @@ the runner-up is close the document is flagged as ambiguous.
 from __future__ import annotations
 
 import itertools
-import re
 
 import numpy as np
 import pyarrow as pa
@@ -21,11 +20,15 @@ from ringview.llm.quality import held_out
 
 #: log2 of the number of hashed n-grams, their lengths in bytes.
 BITS, GRAMS = 12, (1, 2, 3, 4)
-#: Training documents of each language at most (smallest hash first), most languages, passes, learning rate.
-SAMPLE, LANGUAGES, PASSES, RATE = 300, 256, 60, 0.5
+#: Training documents of each language at most (smallest hash first), and of all languages together (but for LEAST of
+#: each), passes, learning rate.
+SAMPLE, TOTAL, LEAST, PASSES, RATE = 300, 12_000, 8, 60, 0.5
 #: Score under which the choice counts as ambiguous.
 CLEAR = 0.75
-_LETTER = re.compile(r"[^\W\d_]")
+
+
+def has_letter(text: str) -> bool:
+    return any(map(str.isalpha, text))
 
 
 def codewords(k: int, seed: int = 3) -> np.ndarray:
@@ -92,8 +95,9 @@ def _fit(bits: int):
                 x += [profiles(data[at[i] : at[min(i + 32, len(at) - 1)]], at[i : i + 33] - at[i], bits) for i in range(0, len(at) - 1, 32)]
         names = sorted(set(y))
         code = codewords(len(names))
-        index = np.array([names.index(v) for v in y], dtype=np.int64)
-        share = np.array([len(y) / (len(names) * max(1, y.count(n))) for n in names], dtype=np.float32)
+        place = {n: i for i, n in enumerate(names)}
+        index = np.array([place[v] for v in y], dtype=np.int64)
+        share = len(y) / (max(1, len(names)) * np.maximum(1, np.bincount(index, minlength=len(names)))).astype(np.float32)
         if len(names) > 1:
             w, b = train(np.concatenate(x), code[index], share[index])
         else:
@@ -104,15 +108,15 @@ def _fit(bits: int):
 
 
 def fit(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", lang_col: str = "lang", bits: int = BITS, sample: int = SAMPLE) -> tuple[list[str], np.ndarray, np.ndarray]:
-    """Learn from documents outside the held-out part, ``sample`` of each language at most (smallest hash first)."""
+    """Learn from documents outside the held-out part, ``sample`` of each language at most (smallest hash first), fewer of
+    each if there are so many languages that TOTAL would be passed.  Any number of languages gets codewords."""
     light = docs.select(F.col(f"`{id_col}`").cast("long").alias("_d"), F.col(f"`{lang_col}`").cast("string").alias("_y"))
     light = light.where("_y is not null and _d is not null").where(~held_out("_d")).withColumn("_r", F.xxhash64("_d"))
     first = light.withColumn("_k", F.row_number().over(Window.partitionBy("_y").orderBy("_r", "_d"))).where(F.col("_k") <= sample)
-    few = materialize(first.select("_d", "_y", "_r"), "sample")
-    if (n := few.select("_y").distinct().count()) > LANGUAGES:
-        raise ValueError(f"{n} languages; the model takes {LANGUAGES}")
+    few = materialize(first.select("_d", "_y", "_r", "_k"), "sample")
+    few = few.where(F.col("_k") <= max(LEAST, TOTAL // max(1, few.select("_y").distinct().count()))).drop("_k")
     d = docs.select(F.col(f"`{id_col}`").cast("long").alias("_d"), F.col(f"`{text_col}`").alias("_t"), F.col(f"`{lang_col}`").cast("string").alias("_y"))
-    rows = d.join(F.broadcast(few), ["_d", "_y"])  # sample times LANGUAGES rows of numbers at most
+    rows = d.join(F.broadcast(few), ["_d", "_y"])  # TOTAL rows of numbers, or LEAST of each language
     model = rows.repartition(1).sortWithinPartitions("_r", "_d", "_t").select("_t", "_y").mapInArrow(_fit(bits), "names array<string>, w binary, b binary").first()
     if model is None:
         return [], np.zeros((1 << bits, 1), np.float32), np.ones(1, np.float32)
@@ -148,7 +152,7 @@ def _predict(names: list[str], w: np.ndarray, b: np.ndarray):
                         lang += ["und"] * (len(ends) - 1)
                         score += [0.0] * (len(ends) - 1)
                 for i, t in enumerate(texts):
-                    if not t or not _LETTER.search(t):
+                    if not t or not has_letter(t):
                         lang[i], score[i] = "und", 0.0
                 yield pa.RecordBatch.from_arrays([part.column("_d"), part.column("_h"), pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array([s < CLEAR for s in score], pa.bool_())], names=["_d", "_h", "lang_pred", "score", "ambiguous"])
 
