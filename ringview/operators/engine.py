@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Mapping
+from collections.abc import Iterable, Mapping, Sequence
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
@@ -91,7 +91,9 @@ class Engine:
     """Keeps a query's result, or its factorized form, up to date.
 
     ``free_top``: views for enumeration.  ``indicators``: projections on cycles.  ``updatable``: relations that change
-    (all but static ones, if not given).  ``keep_base``: base relations are stored too.
+    (all but static ones, if not given).  ``keep_base``: base relations are stored too.  ``place``: relations that hang
+    below a lower variable than their own lowest.  ``same``: a relation symbol and the relations that are its copies under
+    other variable names; a change of the symbol is applied to one after another.
     """
 
     query: NaturalJoinQuery
@@ -101,6 +103,8 @@ class Engine:
     indicators: bool = False
     keep_base: bool = False
     store: ViewStore | None = None
+    place: Mapping[str, str] = field(default_factory=dict)
+    same: Mapping[str, Sequence[str]] = field(default_factory=dict)
     tree: ViewTree = field(init=False)
     stored: set[str] = field(init=False)
 
@@ -108,7 +112,7 @@ class Engine:
         q = self.query
         if self.order is None:
             self.order = choose_order(q, self.free_top)
-        self.tree = build_free_top_tree(q, self.order) if self.free_top else build_tree(q, self.order)
+        self.tree = build_free_top_tree(q, self.order) if self.free_top else build_tree(q, self.order, self.place)
         if self.indicators:
             self.tree = add_indicators(self.tree)
         self.updates = [r for r in q.relations if r not in q.static] if self.updatable is None else list(self.updatable)
@@ -117,6 +121,11 @@ class Engine:
             self.stored |= {n.name for n in frontier(self.tree)}
         self.store = self.store or ViewStore(q.ring)
         self._bases = {x.relation for x in self.tree.leaves() if x.onto is not None} | (set(q.relations) if self.keep_base else set())
+        self.store.rings |= {_base(r): IntRing() for r in self._bases}
+        if not self.free_top:
+            self.store.only_read_last |= {r.name for r in self.tree.roots}
+        #: Whether the store had the views already, from an earlier run.
+        self.resumed = set(self.store.names()) >= self.stored | {_base(r) for r in self._bases}
 
     def load(self, db: Database) -> None:
         """Initial content; an empty table is fine."""
@@ -134,7 +143,8 @@ class Engine:
 
         for r in self.tree.roots:
             at(r)
-        self.bases = {r: KeyedRelation.from_bag(db[r], self.query.relations[r], IntRing()) for r in self._bases}
+        for r in sorted(self._bases):
+            self.store.create(_base(r), KeyedRelation.from_bag(db[r], self.query.relations[r], IntRing()))
         self.store.commit()
 
     def _up(self, leaf: Leaf, delta: KeyedRelation | None, bag: DataFrame | None) -> None:
@@ -149,37 +159,54 @@ class Engine:
                 change = from_leaf(n, bag, self.query)
             else:
                 change = change or leaf_relation(leaf, bag, self.query)
-                change = view(n, [change if c is below else self.store.read(c.name) for c in n.children])
+                change = view(n, [change if c is below else self.store.read_for(c.name, change) for c in n.children])
             if n.name in self.stored:
                 self.store.append(n.name, change)
             below = n
 
-    def apply(self, relation: str, delta: DataFrame) -> None:
+    def apply(self, relation: str, delta: DataFrame, batch: tuple[str, int] | None = None) -> bool:
         """A signed bag of changes of one relation: its leaves first, then its indicators, so that each step sees the
-        ones before."""
-        if relation not in self.updates:
-            raise ValueError(f"{relation} is not updatable")
+        ones before.  With ``batch`` (a stream and its ascending batch number) a batch counts once, across restarts if the
+        store is on disk; the answer is whether it counted now."""
+        if batch and self.store.has(*batch):
+            return False
+        for copy in self.same.get(relation, [relation]):
+            if copy not in self.updates:
+                raise ValueError(f"{copy} is not updatable")
+            self._apply(copy, delta if copy == relation else self._renamed(relation, copy, delta))
+        self.store.commit(*(batch or ()))
+        return True
+
+    def _renamed(self, symbol: str, copy: str, delta: DataFrame) -> DataFrame:
+        """Columns of a symbol's change, by place, under the names that a copy has."""
+        keep = [c for c in delta.columns if c != SIGN]
+        sign = [F.col(SIGN)] if SIGN in delta.columns else []
+        return delta.select(*[F.col(c).alias(v) for c, v in zip(keep, self.query.relations[copy], strict=True)], *sign)
+
+    def _apply(self, relation: str, delta: DataFrame) -> None:
         delta = delta if SIGN in delta.columns else delta.withColumn(SIGN, F.lit(1))
         for leaf in self.tree.leaves():
             if leaf.relation == relation and leaf.onto is None:
                 self._up(leaf, None, delta)
-        if relation in self.bases:
-            old = self.bases[relation]
-            new = union(old, KeyedRelation.from_bag(delta, old.keys, old.ring))
-            touched = delta.select(*old.keys).distinct()
-            before, after = old.df.join(touched, list(old.keys), "left_semi"), new.df.join(touched, list(old.keys), "left_semi")
-            entering, leaving = after.join(before, list(old.keys), "left_anti"), before.join(after, list(old.keys), "left_anti")
-            pushed: set[str] = set()
-            for leaf in self.tree.leaves():
-                if leaf.relation == relation and leaf.onto is not None:
-                    moved = support_change(support(old, leaf.onto), entering, leaving, leaf.onto)
-                    one = self.query.ring.unit() | {"v": F.lit(1).cast("long")} if isinstance(self.query.ring, LongRing) else self.query.ring.scale(self.query.ring.one(), F.col(SIGN))
-                    if isinstance(self.query.ring, LongRing):
-                        one["v"] = F.col(SIGN).cast("long")
-                    change = KeyedRelation(moved.select(*leaf.onto, *[c.alias(s) for s, c in one.items()], F.col(SIGN).cast("long").alias("__n")), leaf.onto, self.query.ring)
-                    self._indicator(leaf, change, pushed)
-            self.bases[relation] = new
-        self.store.commit()
+        if relation not in self._bases:
+            return
+        # indicators change where the support of a projection leaves zero or returns to it: only touched tuples are read
+        change = KeyedRelation.from_bag(delta, self.query.relations[relation], IntRing())
+        old = self.store.read_for(_base(relation), change)
+        keys = list(change.keys)
+        before = KeyedRelation(old.df.join(change.df.select(*keys), keys, "left_semi"), change.keys, change.ring)
+        after = union(before, change)
+        entering, leaving = after.df.join(before.df, keys, "left_anti"), before.df.join(after.df, keys, "left_anti")
+        pushed: set[str] = set()
+        for leaf in self.tree.leaves():
+            if leaf.relation == relation and leaf.onto is not None:
+                onto = list(leaf.onto)
+                whole = self.store.read(_base(relation))
+                near = KeyedRelation(whole.df.join(change.df.select(*onto).distinct(), onto, "left_semi"), whole.keys, whole.ring)
+                moved = support_change(support(near, onto), entering, leaving, onto)
+                one = self.query.ring.unit() | {"v": F.col(SIGN).cast("long")} if isinstance(self.query.ring, LongRing) else self.query.ring.scale(self.query.ring.one(), F.col(SIGN))
+                self._indicator(leaf, KeyedRelation(moved.select(*onto, *[c.alias(s) for s, c in one.items()], F.col(SIGN).cast("long").alias("__n")), leaf.onto, self.query.ring), pushed)
+        self.store.append(_base(relation), change)
 
     def _indicator(self, leaf: Leaf, change: KeyedRelation, pushed: set[str]) -> None:
         """Like any leaf; an indicator that stands at several places is stored once, with the first of them."""
@@ -189,7 +216,7 @@ class Engine:
             self.store.append(leaf.name, delta)
             pushed.add(leaf.name)
         for n in path_to(self.tree, leaf):
-            delta = view(n, [delta if c is below else self.store.read(c.name) for c in n.children])
+            delta = view(n, [delta if c is below else self.store.read_for(c.name, delta) for c in n.children])
             if n.name in self.stored:
                 self.store.append(n.name, delta)
             below = n
@@ -248,6 +275,10 @@ class Engine:
         return {n: self.store.read(n).size() for n in sorted(self.stored)}
 
 
+def _base(relation: str) -> str:
+    return f"base_{relation}"
+
+
 def choose_order(q: NaturalJoinQuery, free_top: bool) -> VariableOrder:
     """The best class that the query has: canonical, by dependencies, free-top, else by cost."""
     for method in (canonical_order, fd_order) if q.fds or free_top else ():

@@ -12,29 +12,22 @@ from pyspark.sql.streaming.state import GroupStateTimeout
 
 from ringview.operators.engine import Engine
 from ringview.operators.relation import SIGN
-from ringview.sources.store import ParquetStore
 
 
 class StreamMaintainer:
-    """Applies micro-batches of relations to an engine, each batch id of a stream once.  Changes commute, so late rows
-    are later changes; no watermark is needed for the views themselves."""
+    """Applies micro-batches of relations to an engine, each batch number of a stream once: the store commits it with the
+    views, so after a restart a batch that comes again is passed over.  Changes commute, so late rows are later changes;
+    no watermark is needed for the views themselves."""
 
     def __init__(self, engine: Engine, on_batch: Callable[[Engine, int], object] | None = None):
         self.engine, self.on_batch = engine, on_batch
-        self.done: dict[str, set[int]] = {}
 
     def start(self, relation: str, stream: DataFrame, checkpoint: str, available_now: bool = True, **trigger) -> StreamingQuery:
         def batch(df: DataFrame, number: int) -> None:
-            seen = self.done.setdefault(relation, set())
-            if number in seen:
-                return
-            self.engine.apply(relation, df if SIGN in df.columns else df.withColumn(SIGN, F.lit(1)))
-            for name in self.engine.stored:  # the views are brought up to date while the micro-batch is there
-                if not isinstance(self.engine.store, ParquetStore):
-                    self.engine.store.parts[name][-1].df.count()
-            seen.add(number)
-            if self.on_batch:
-                self.on_batch(self.engine, number)
+            if self.engine.apply(relation, df if SIGN in df.columns else df.withColumn(SIGN, F.lit(1)), (relation, number)):
+                self.engine.store.force()  # the views are brought up to date while the micro-batch is there
+                if self.on_batch:
+                    self.on_batch(self.engine, number)
 
         writer = stream.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint)
         return (writer.trigger(availableNow=True) if available_now else writer.trigger(**trigger)).start()
