@@ -9,11 +9,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ringview.functions.rings import IntRing, RelationalRing
-from ringview.operators.engine import Database, content
+from ringview.operators.engine import Database, leaf_relation
 from ringview.operators.relation import COUNT, KeyedRelation, join, marginalize
 from ringview.plans.query import NaturalJoinQuery
 from ringview.plans.varorder import VariableOrder
-from ringview.plans.viewtree import Leaf, Node, ViewTree
+from ringview.plans.viewtree import Leaf, Node, ViewTree, path_to
+from ringview.sources.store import ViewStore
 
 KEYS, LIST_PAYLOAD, FACT_PAYLOAD = "keys", "listing payload", "factorized payload"
 
@@ -35,40 +36,66 @@ class Factorized:
     variable only and the rest hangs below it by key.
     """
 
-    def __init__(self, q: NaturalJoinQuery, order: VariableOrder, db: Database | None = None):
+    def __init__(self, q: NaturalJoinQuery, order: VariableOrder, db: Database | None = None, store: ViewStore | None = None):
         self.q = replace(q, ring=IntRing(), free=())
         self.order = order
         self.free = tuple(q.free)
         self.tree = _plain_tree(self.q, order)
-        self.views: dict[str, KeyedRelation] = {}
+        self.store = store or ViewStore(self.q.ring)
         if db is not None:
             self._load(db)
 
-    def _load(self, db: Database) -> None:
-        seen: dict[str, KeyedRelation] = {}
+    @property
+    def views(self) -> dict[str, KeyedRelation]:
+        return {x: self.store.read(f"own_{x}") for x in self.order.variables}
+
+    def _own(self, n: Node, inputs: list[KeyedRelation]) -> KeyedRelation:
+        """A node's join, counted by its keys and its own variable."""
+        rel = inputs[0]
+        for o in inputs[1:]:
+            rel = join(rel, o)
+        keys = (*n.keys, n.summed[0])
+        own = marginalize(rel, [k for k in rel.keys if k not in keys], lifted=False)
+        return KeyedRelation(own.df.select(*keys, "v", COUNT), keys, own.ring)
+
+    def _input(self, c: Node | Leaf, change: KeyedRelation | None = None) -> KeyedRelation:
+        """What a child hands up: a relation, or its variable's view summed over the variable."""
+        name = c.name if isinstance(c, Leaf) else f"own_{c.summed[0]}"
+        rel = self.store.read(name) if change is None else self.store.read_for(name, change)
+        return rel if isinstance(c, Leaf) else marginalize(rel, c.summed, lifted=False)
 
-        def at(n: Node) -> None:
+    def _load(self, db: Database) -> None:
+        def at(n: Node | Leaf) -> None:
+            if isinstance(n, Leaf):
+                self.store.create(n.name, leaf_relation(n, db[n.relation], self.q))
+                return
             for c in n.children:
-                if isinstance(c, Node):
-                    at(c)
-            inputs = [content(self.tree, c, db, seen) if isinstance(c, Leaf) else seen[c.name] for c in n.children]
-            rel = inputs[0]
-            for o in inputs[1:]:
-                rel = join(rel, o)
-            x = n.summed[0]
-            own = marginalize(rel, [k for k in rel.keys if k not in (*n.keys, x)], lifted=False)
-            self.views[x] = KeyedRelation(own.df.select(*n.keys, x, "v", COUNT), (*n.keys, x), own.ring)
-            seen[n.name] = marginalize(own, [x], lifted=False)
+                at(c)
+            self.store.create(f"own_{n.summed[0]}", self._own(n, [self._input(c) for c in n.children]))
 
         for r in self.tree.roots:
             at(r)
 
+    def apply(self, relation: str, delta: DataFrame) -> None:
+        """A signed bag of changes: every variable's view above the relation takes its part; nothing is listed."""
+        leaf = next(x for x in self.tree.leaves() if x.relation == relation)
+        change = leaf_relation(leaf, delta, self.q)
+        self.store.append(leaf.name, change)
+        below: Node | Leaf = leaf
+        for n in path_to(self.tree, leaf):
+            name = f"own_{n.summed[0]}"
+            own = self._own(n, [change, *(self._input(c, change) for c in n.children if c is not below)])
+            self.store.append(name, own)
+            change = marginalize(self.store.latest(name), n.summed, lifted=False)
+            below = n
+
     def expand(self) -> DataFrame:
         """Rows of the result over the free variables, with multiplicity ``v``, top-down."""
         out: DataFrame | None = None
         names = [x for x in self.order.variables if x in self.free]
+        views = self.views
         for x in names:
-            v = self.views[x]
+            v = views[x]
             keys = v.df.select(*v.keys)
             out = keys if out is None else out.join(keys, [k for k in v.keys if k in out.columns]) if set(v.keys) & set(out.columns) else out.crossJoin(keys)
         assert out is not None
@@ -136,7 +163,7 @@ class Factorized:
     def with_free(self, free: Sequence[str]) -> Factorized:
         """The same views for fewer free variables."""
         out = Factorized(replace(self.q, free=tuple(free)), self.order)
-        out.views = self.views
+        out.store = self.store
         return out
 
     def size(self) -> int:

@@ -162,6 +162,7 @@ class Engine:
                 change = view(n, [change if c is below else self.store.read_for(c.name, change) for c in n.children])
             if n.name in self.stored:
                 self.store.append(n.name, change)
+                change = self.store.latest(n.name)
             below = n
 
     def apply(self, relation: str, delta: DataFrame, batch: tuple[str, int] | None = None) -> bool:
@@ -219,6 +220,7 @@ class Engine:
             delta = view(n, [delta if c is below else self.store.read_for(c.name, delta) for c in n.children])
             if n.name in self.stored:
                 self.store.append(n.name, delta)
+                delta = self.store.latest(n.name)
             below = n
 
     def apply_batch(self, changes: Mapping[str, DataFrame]) -> None:

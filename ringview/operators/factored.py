@@ -14,9 +14,14 @@ from ringview.operators.relation import COUNT, KeyedRelation, join, marginalize,
 from ringview.plans.viewtree import Leaf, Node, path_to
 
 
+#: Key that numbers the products of a sum that is kept as one term.
+TERM = "__term"
+
+
 @dataclass(frozen=True)
 class Term:
-    """A product of relations with disjoint keys."""
+    """A product of relations with disjoint keys; or, with the key TERM in several of them, a sum of such products, one for
+    each of its values."""
 
     factors: tuple[KeyedRelation, ...]
 
@@ -75,9 +80,16 @@ def rank_one(u: DataFrame, v: DataFrame, row: str, column: str, value: str = "v"
     return FactoredDelta((Term((vector(u, row, value, ring), vector(v, column, value, ring))),))
 
 
-def rank_r(spark: SparkSession, u: np.ndarray, v: np.ndarray, row: str, column: str, ring: Ring | None = None) -> FactoredDelta:
-    """u (p x r) times v (q x r) transposed, as r terms.  u and v are the update itself: small by their nature."""
-    frame = lambda x, name: spark.createDataFrame([(i, x[i].item()) for i in range(len(x)) if x[i]], f"{name} long, v {'double' if x.dtype.kind == 'f' else 'long'}")
+def rank_r(spark: SparkSession, u: np.ndarray, v: np.ndarray, row: str, column: str, ring: Ring | None = None, together: bool = False) -> FactoredDelta:
+    """u (p x r) times v (q x r) transposed, as r terms, or ``together`` as one that is keyed by the term's number, so that
+    the plan does not grow with r.  u and v are the update itself: small by their nature."""
+    kind = lambda x: "double" if x.dtype.kind == "f" else "long"
+    if together:
+        kept = lambda x, name: KeyedRelation(
+            spark.createDataFrame([(i, t, x[i, t].item(), 1) for i in range(len(x)) for t in range(x.shape[1]) if x[i, t]], f"{name} long, {TERM} long, v {kind(x)}, {COUNT} long"), (name, TERM), ring or IntRing()
+        )
+        return FactoredDelta((Term((kept(u, row), kept(v, column))),))
+    frame = lambda x, name: spark.createDataFrame([(i, x[i].item()) for i in range(len(x)) if x[i]], f"{name} long, v {kind(x)}")
     return FactoredDelta(tuple(t for j in range(u.shape[1]) for t in rank_one(frame(u[:, j], row), frame(v[:, j], column), row, column, ring=ring).terms))
 
 
@@ -94,17 +106,23 @@ def low_rank(delta: np.ndarray, r: int | None = None, most: int = 4096) -> tuple
     return a[:, :r] * s[:r], b[:r].T
 
 
-def product_decompose(df: DataFrame, left: Sequence[str], right: Sequence[str]) -> list[tuple[DataFrame, DataFrame]]:
-    """A set of rows as a union of products: values of ``left`` with the same set of partners form one product."""
-    partner = df.select(*left, *right).distinct().groupBy(*left).agg(F.array_sort(F.collect_set(F.struct(*right))).alias("partners"))
-    groups = partner.select("partners").distinct().withColumn("g", F.monotonically_increasing_id()).collect()
-    return [(partner.where(F.to_json("partners") == F.lit(_json(df, r["partners"]))).select(*left), df.sparkSession.createDataFrame([tuple(p) for p in r["partners"]], df.select(*right).schema)) for r in groups]
-
-
-def _json(df: DataFrame, partners) -> str:
-    import json
+def product_decompose(df: DataFrame, left: Sequence[str], right: Sequence[str], value: str | None = None) -> tuple[DataFrame, DataFrame]:
+    """A relation as a sum of products: (left, TERM, v) and (right, TERM, v) whose join on TERM, values multiplied, is it.
 
-    return json.dumps([p.asDict() for p in partners], separators=(",", ":"), default=str)
+    Values of ``left`` whose partners are the same, with values in the same proportion, form one product (if a row's value at
+    its first partner divides the others; else the row's own values are the pattern).
+    Patterns are compared by their number of partners and two sums of hashes, so no set of partners is ever gathered.
+    """
+    rows = df.select(*left, *right, (F.col(value).cast("long") if value else F.lit(1).cast("long")).alias("v"))
+    rows = (rows.groupBy(*left, *right).agg(F.sum("v").alias("v")) if value else rows.distinct()).where("v <> 0")
+    least = rows.groupBy(*left).agg(F.min_by("v", F.struct(*right)).alias("first"), F.count("*").alias("n"))
+    odd = rows.join(least, list(left)).groupBy(*left).agg(F.max(F.pmod("v", F.abs("first"))).alias("odd"))
+    scale = least.join(odd, list(left)).select(*left, "n", F.when(F.col("odd") == 0, F.col("first")).otherwise(F.lit(1)).alias("scale"))
+    whole = rows.join(scale, list(left)).withColumn("v", F.expr("v div scale"))
+    digest = lambda salt: F.sum(F.xxhash64(F.lit(salt), *right, "v").cast("decimal(38,0)")).alias(f"d{salt}")
+    pattern = whole.groupBy(*left, "n", "scale").agg(digest(1), digest(2)).withColumn(TERM, F.xxhash64("n", "d1", "d2"))
+    one = pattern.groupBy(TERM).agg(F.min(F.struct(*left)).alias("l")).select(TERM, "l.*")
+    return pattern.select(*left, TERM, F.col("scale").alias("v")), whole.join(one, list(left)).select(*right, TERM, "v")
 
 
 def cover_with_correction(df: DataFrame, left: str, right: str) -> tuple[DataFrame, DataFrame, DataFrame]:
@@ -113,8 +131,8 @@ def cover_with_correction(df: DataFrame, left: str, right: str) -> tuple[DataFra
     return a, b, a.crossJoin(b).join(df.select(left, right).distinct(), [left, right], "left_anti")
 
 
-def decomposition_size(parts: Sequence[tuple[DataFrame, DataFrame]]) -> int:
-    return sum(a.count() + b.count() for a, b in parts)
+def decomposition_size(parts: tuple[DataFrame, DataFrame]) -> int:
+    return sum(p.count() for p in parts)
 
 
 def apply_factored(engine, relation: str, delta: FactoredDelta, keep_factored: bool = False) -> FactoredDelta:
@@ -130,7 +148,7 @@ def apply_factored(engine, relation: str, delta: FactoredDelta, keep_factored: b
         for n in path_to(engine.tree, leaf):
             siblings = [engine.store.read(c.name) for c in n.children if c is not below]
             terms = tuple(t.times(siblings) for t in terms)
-            gone = [v for v in (terms[0].keys if terms else ()) if v not in n.keys]
+            gone = [v for v in (terms[0].keys if terms else ()) if v not in n.keys and v != TERM]
             terms = tuple(t.sum_away(gone) for t in terms)
             if n.name in engine.stored and not (keep_factored and n in engine.tree.roots):
                 engine.store.append(n.name, FactoredDelta(terms).expand(n.keys))

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ringview.functions.rings import IntRing, NumberRing
 from ringview.operators.engine import Engine
-from ringview.operators.factored import FactoredDelta, apply_factored
+from ringview.operators.factored import FactoredDelta, apply_factored, rank_one
 from ringview.operators.relation import COUNT
 from ringview.plans.query import NaturalJoinQuery
 from ringview.plans.varorder import VariableOrder, chain_order
@@ -88,6 +88,22 @@ class MatrixChain:
         rel = KeyedRelation(delta.select(F.col(delta.columns[0]).alias(f"x{i + 1}"), F.col(delta.columns[1]).alias(f"x{i + 2}"), F.col(delta.columns[2]).cast(self.q.ring.type_name).alias("v"), F.lit(1).cast("long").alias(COUNT)), (f"x{i + 1}", f"x{i + 2}"), self.q.ring)  # type: ignore[attr-defined]
         apply_factored(self.engine, f"A{i + 1}", FactoredDelta((Term((rel,)),)))
 
+    def update_row(self, i: int, row: int, values: DataFrame) -> None:
+        """Add ``values`` (column, v) to a row of the i-th matrix."""
+        a, b = f"x{i + 1}", f"x{i + 2}"
+        self.update(i, rank_one(self._unit(a, row), values.toDF(b, "v"), a, b, ring=self.q.ring))
+
+    def update_column(self, i: int, column: int, values: DataFrame) -> None:
+        """Add ``values`` (row, v) to a column of the i-th matrix."""
+        a, b = f"x{i + 1}", f"x{i + 2}"
+        self.update(i, rank_one(values.toDF(a, "v"), self._unit(b, column), a, b, ring=self.q.ring))
+
+    def update_entry(self, i: int, row: int, column: int, value: float) -> None:
+        self.update_row(i, row, self._unit("j", column, value))
+
+    def _unit(self, name: str, at: int, value: float = 1) -> DataFrame:
+        return self.mats[0].sparkSession.createDataFrame([(at, value)], f"{name} long, v {'double' if isinstance(value, float) else 'long'}")
+
     def state_size(self) -> int:
         return sum(self.engine.view_sizes().values())
 
@@ -97,6 +113,10 @@ def matrix_chain(mats: Sequence[DataFrame], dims: Sequence[int], balanced: bool
     return MatrixChain(mats, dims, balanced, ring, updatable=()).product()
 
 
+#: Blocks that a task of a product holds before it hands its sums on.
+HELD = 64
+
+
 class BlockMatrix:
     """Dense blocks of ``size`` x ``size`` doubles: (bi, bj, block)."""
 
@@ -123,17 +143,37 @@ class BlockMatrix:
         a = self.df.select("bi", F.col("bj").alias("k"), F.col("block").alias("a"))
         b = other.df.select(F.col("bi").alias("k"), "bj", F.col("block").alias("b"))
 
+        def flush(sums: dict) -> pd.DataFrame:
+            return pd.DataFrame({"bi": [k[0] for k in sums], "bj": [k[1] for k in sums], "block": [x.tobytes() for x in sums.values()]})
+
         def multiply(batches):
+            """Products of a task, those of one cell summed as long as HELD blocks are not passed."""
+            sums: dict[tuple[int, int], np.ndarray] = {}
+            for p in batches:
+                for i, j, x, y in zip(p["bi"], p["bj"], p["a"], p["b"], strict=True):
+                    z = np.frombuffer(x).reshape(size, size) @ np.frombuffer(y).reshape(size, size)
+                    sums[i, j] = sums[i, j] + z if (i, j) in sums else z
+                    if len(sums) >= HELD:
+                        yield flush(sums)
+                        sums = {}
+            if sums:
+                yield flush(sums)
+
+        def add(batches):
+            """Blocks of a task, sorted by cell, summed one after another: memory for one sum."""
+            at, total = None, None
             for p in batches:
-                out = [(np.frombuffer(x).reshape(size, size) @ np.frombuffer(y).reshape(size, size)).tobytes() for x, y in zip(p["a"], p["b"], strict=True)]
-                yield pd.DataFrame({"bi": p["bi"], "bj": p["bj"], "block": out})
+                for i, j, x in zip(p["bi"], p["bj"], p["block"], strict=True):
+                    if (i, j) != at:
+                        if at is not None:
+                            yield flush({at: total})
+                        at, total = (i, j), np.zeros(size * size)
+                    total = total + np.frombuffer(x)
+            if at is not None:
+                yield flush({at: total})
 
         parts = a.join(b, "k").select("bi", "bj", "a", "b").mapInPandas(multiply, self.SCHEMA)
-
-        def total(pdf: pd.DataFrame) -> pd.DataFrame:
-            return pd.DataFrame({"bi": [pdf["bi"].iloc[0]], "bj": [pdf["bj"].iloc[0]], "block": [sum(np.frombuffer(x) for x in pdf["block"]).tobytes()]})
-
-        return BlockMatrix(parts.groupBy("bi", "bj").applyInPandas(total, self.SCHEMA), size)
+        return BlockMatrix(parts.repartition("bi", "bj").sortWithinPartitions("bi", "bj").mapInPandas(add, self.SCHEMA), size)
 
     def cells(self) -> DataFrame:
         """(i, j, v) of the entries that are not zero."""

@@ -72,15 +72,20 @@ def _nonzero(df: DataFrame, keys: tuple[str, ...], ring: Ring, slots: Sequence[s
 
 def _sum(rows: DataFrame, keys: tuple[str, ...], ring: Ring, slots: Sequence[str]) -> DataFrame:
     inner = ring.inner if isinstance(ring, LongRing) else ()
-    aggs = [ring.total(s, F.col(s)).alias(s) for s in slots] + [F.sum(COUNT).alias(COUNT)]
+    aggs = [ring.total(s, F.col(s)).alias(s) for s in slots] + [F.sum(COUNT).cast(count_type(ring)).alias(COUNT)]
     by = [*keys, *inner]
     out = rows.groupBy(*by).agg(*aggs) if by else rows.agg(*aggs).where(F.col(COUNT).isNotNull())
     return _nonzero(out, keys, ring, slots)
 
 
+def count_type(ring: Ring) -> str:
+    """Derivations are counted as widely as the ring's own numbers."""
+    return "decimal(38,0)" if getattr(ring, "type_name", "").startswith("decimal(38") else "long"
+
+
 def aggregate(bag: DataFrame, keys: tuple[str, ...], lift: dict[str, Column], ring: Ring) -> KeyedRelation:
     """Straight from a signed bag: lift the variables of ``lift`` and sum per key, one pass for a whole chain."""
-    n = F.col(SIGN).cast("long")
+    n = F.col(SIGN).cast(count_type(ring))
     if isinstance(ring, LongRing):
         rel = KeyedRelation(bag.select(*keys, *lift, *[c.alias(k) for k, c in ring.unit().items()], n.alias("v"), n.alias(COUNT)), keys + tuple(lift), ring)
         return marginalize(rel, tuple(lift))
@@ -138,7 +143,7 @@ def join(a: KeyedRelation, b: KeyedRelation, hint: str | None = None, total: boo
     right = F.broadcast(right) if hint == "broadcast" else right
     both = a.df.join(right, shared) if shared else a.df.crossJoin(right)
     keys = a.keys + tuple(k for k in b.keys if k not in a.keys)
-    count = (F.col(COUNT) * F.col(f"__r_{COUNT}")).alias(COUNT)
+    count = (F.col(COUNT) * F.col(f"__r_{COUNT}")).cast(count_type(ring)).alias(COUNT)
     if isinstance(ring, LongRing):
         left, other = {c: F.col(c) for c in ring.inner}, {c: F.col(f"__r_{c}") for c in ring.inner}
         inner, keep = ring.combine(left, other)

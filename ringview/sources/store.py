@@ -36,12 +36,18 @@ class ViewStore:
         self.only_read_last: set[str] = set()
         self.version = 0
         self.done: dict[str, int] = {}
+        self._last: dict[str, KeyedRelation] = {}
 
     def create(self, name: str, rel: KeyedRelation) -> None:
         self.parts[name] = [self._keep(name, rel)]
 
+    def latest(self, name: str) -> KeyedRelation:
+        """The last change of a view, as it was kept."""
+        return self._last[name]
+
     def append(self, name: str, delta: KeyedRelation) -> None:
         self.parts.setdefault(name, []).append(self._keep(name, delta))
+        self._last[name] = self.parts[name][-1]
         if len(self.parts[name]) > self.fold:
             old, whole = self.parts[name], self.read(name)
             self.parts[name] = [KeyedRelation(written(whole.df, "fold"), whole.keys, whole.ring)]
@@ -133,6 +139,7 @@ class ParquetStore(ViewStore):
 
     def append(self, name: str, delta: KeyedRelation) -> None:
         self._write(name, delta)
+        self._last[name] = self._part(name, self.log[name][-1], None)
         if len(self.log[name]) > self.fold:
             whole = self.read(name)
             self.log[name] = []
