@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ringview.llm.common import FOLD, keyed, lean, materialize, slices
-from ringview.llm.quality import held_out
+from ringview.llm.quality import few_smallest, held_out
 
 #: log2 of the number of hashed n-grams, their lengths in bytes.
 BITS, GRAMS = 12, (1, 2, 3, 4)
@@ -112,6 +112,8 @@ def fit(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", lang_co
     each if there are so many languages that TOTAL would be passed.  Any number of languages gets codewords."""
     light = docs.select(F.col(f"`{id_col}`").cast("long").alias("_d"), F.col(f"`{lang_col}`").cast("string").alias("_y"))
     light = light.where("_y is not null and _d is not null").where(~held_out("_d")).withColumn("_r", F.xxhash64("_d"))
+    per = materialize(light.groupBy("_y").agg(F.count("*").alias("_n")), "languages")
+    light = light.join(per, "_y").where(few_smallest("_r", F.col("_n"), sample)).drop("_n")
     first = light.withColumn("_k", F.row_number().over(Window.partitionBy("_y").orderBy("_r", "_d"))).where(F.col("_k") <= sample)
     few = materialize(first.select("_d", "_y", "_r", "_k"), "sample")
     few = few.where(F.col("_k") <= max(LEAST, TOTAL // max(1, few.select("_y").distinct().count()))).drop("_k")

@@ -145,6 +145,14 @@ def held_out(id_: str) -> Column:
     return F.coalesce(F.crc32(F.col(id_).cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
+def few_smallest(hash_: str, n, sample: int) -> Column:
+    """Rows of which the ``sample`` smallest hashes of ``n`` are among, four times as many on average: what is to be sorted
+    does not grow with the table.  (That fewer than ``sample`` of them are left has a chance below 1e-100 for the samples
+    used here.)"""
+    share = F.greatest(F.lit(4.0) * sample, F.lit(1000.0)) / n
+    return (F.col(hash_).cast("double") + 2.0**63) / 2.0**64 < share
+
+
 def fit(docs: DataFrame, labels: DataFrame, text_col: str = "text", id_col: str = "doc_id", label_col: str = "quality", bits: int = BITS, sample: int = SAMPLE) -> tuple[np.ndarray, float]:
     """Learn from labelled documents outside the held-out part, ``sample`` of each class at most (smallest hash first).
     The scores have the shares of both classes among all these documents, whatever the sample has."""
@@ -152,7 +160,8 @@ def fit(docs: DataFrame, labels: DataFrame, text_col: str = "text", id_col: str
     y = y.groupBy("_d").agg(F.max("_y").alias("_y")).where(~held_out("_d")).withColumn("_r", F.xxhash64("_d"))
     n = dict(y.groupBy("_y").count().collect())
     weight = tuple(max(1.0, n.get(c, 0) / max(1, sample)) for c in (0, 1))
-    y = materialize(y.where("_y = 0").orderBy("_r", "_d").limit(sample).unionByName(y.where("_y = 1").orderBy("_r", "_d").limit(sample)), "labelled")
+    first = lambda c: y.where(F.col("_y") == c).where(few_smallest("_r", F.lit(max(1, n.get(c, 0))), sample)).orderBy("_r", "_d").limit(sample)
+    y = materialize(first(0).unionByName(first(1)), "labelled")
     d = docs.select(F.col(f"`{id_col}`").cast("long").alias("_d"), F.col(f"`{text_col}`").alias("_t"))
     rows = d.join(F.broadcast(y), "_d").select("_t", "_y", "_r", "_d")  # 2*sample rows of numbers
     model = rows.repartition(1).sortWithinPartitions("_r", "_d", "_t").select("_t", "_y").mapInArrow(_fit(bits, weight), "scores binary, bias double").first()
