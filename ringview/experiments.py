@@ -3,6 +3,7 @@ of updates, dense graphs, binned mutual information, regression on each join."""
 
 from __future__ import annotations
 
+import time
 from collections.abc import Iterator, Sequence
 from dataclasses import replace
 
@@ -17,6 +18,7 @@ from ringview.operators.covariance import Moments, long_rows
 from ringview.operators.engine import Engine, choose_order
 from ringview.operators.factored import rank_r
 from ringview.operators.matrix_chain import MatrixChain
+from ringview.operators.metrics import enum_run, run_stream
 from ringview.operators.mutual_info import Discretizer, InformationStream, mutual_information
 from ringview.operators.regression import OnlineRegression, loss, solve
 from ringview.operators.relation import KeyedRelation, indicator, join, marginalize, negate, union
@@ -409,3 +411,56 @@ def _(spark, sf_dir):
     found = _rows(maintained(w.NATIONS, spark, sf_dir, w.NATIONS.query(IntRing(), ("regionkey",))).result()).where("v > 1000")
     every = w.table(spark, sf_dir, "region").select(F.col("r_regionkey").cast("long").alias("regionkey"))
     return every.join(found, "regionkey", "left").select("regionkey", F.coalesce("v", F.lit(0)).cast("long").alias("v"))
+
+
+# --- measures of runs (for bench.py and tests; seconds differ from run to run, so these are no queries) -----------------------------
+def strategies(spark: SparkSession, sf_dir: str, work: Workload, size: int = 1_000, limit: float = 30.0) -> dict[str, dict]:
+    """One sum over the same stream by view tree, first-order and recursive maintenance and by re-evaluation after every
+    batch: tuples a second, by tenth of the stream, stored views, and a mark if the limit ended it."""
+    db = work.build(spark, sf_dir)
+    q = work.query(IntRing())
+    empty = {r: df.select(*work.relations[r]).limit(0) for r, df in db.items()}
+    all_ = list(stream(work, db, size))
+    tree = Engine(q, work.variable_order, store=ParquetStore(spark, shared_path(spark, "views"), q.ring, buckets=1))
+    tree.load(empty)
+    runs: dict[str, tuple] = {"view_tree": (tree, tree.result)}
+    for name, make in (("first_order", baselines.FirstOrder), ("recursive", baselines.Recursive)):
+        runs[name] = (b := make(q, empty), b.result)
+    runs["plain_reeval"] = (mode := baselines.ResultMode(q, empty, False, False), mode.result)
+    out = {}
+    for name, (engine, result) in runs.items():
+        run = run_stream(all_, engine.apply, lambda result=result: result().df.collect(), limit)
+        views = engine.view_count() if hasattr(engine, "view_count") else 1 + len(q.relations)
+        out[name] = {"tuples_per_s": round(run.throughput, 1), "tenths": [round(x) for x in run.curve()], "views": views, "stopped": run.mark}
+    return out
+
+
+def enumeration_costs(spark: SparkSession, sf_dir: str, intervals: Sequence[int] = (1, 2, 4), size: int = 1_000) -> dict[str, dict[int, float]]:
+    """Seconds of the four result modes with a request after every so many batches."""
+    work = w.NATIONS
+    db = work.build(spark, sf_dir)
+    q = work.query(IntRing(), ("nationkey", "custkey", "suppkey"))
+    empty = {r: df.select(*work.relations[r]).limit(0) for r, df in db.items()}
+    all_ = list(stream(work, db, size))
+    out: dict[str, dict[int, float]] = {}
+    for eager in (True, False):
+        for fact in (True, False):
+            for n in intervals:
+                mode = baselines.ResultMode(q, empty, eager, fact)
+                out.setdefault(mode.name, {})[n] = round(enum_run(all_, mode, n)[1], 2)
+    return out
+
+
+def rank_costs(spark: SparkSession, sf_dir: str, ranks: Sequence[int] = (1, 8, 64)) -> dict[str, float]:
+    """Seconds of a change of rank r of the middle matrix and of the same change as a dense one."""
+    mats, dims = _matrices(spark, sf_dir)
+    i, out = np.arange(64), {}
+    for r in ranks:
+        u, v = (np.stack([(k * i) % m - c for k in range(1, r + 1)], axis=1) for m, c in ((7, 3), (5, 2)))
+        chain = MatrixChain(mats, dims, updatable=[1])
+        chain.engine.store.force()
+        t = time.perf_counter()
+        chain.update(1, rank_r(spark, u, v, "x2", "x3", together=True), keep_factored=True)
+        chain.engine.store.force()
+        out[f"rank_{r}"] = round(time.perf_counter() - t, 2)
+    return out

@@ -126,3 +126,15 @@ def test_block_products_of_many_parts(spark):
 def test_relation_of_membership(spark):
     rel = KeyedRelation.from_bag(pairs(spark, [(1, 2), (1, 2), (3, 4)], "a b"), ("a", "b"), IntRing())
     assert rel.contains(a=1, b=2) and not rel.contains(a=1, b=4) and rel.slice(a=3).first()["v"] == 1 and sum(r["v"] for r in rel.enumerate()) == 3
+
+
+def test_measures_of_runs(spark):
+    from ringview import experiments
+    from ringview.sources import workloads as w
+
+    sf = "/root/testdata/sf0.001"
+    got = experiments.strategies(spark, sf, w.NATIONS, limit=30)
+    assert set(got) == {"view_tree", "first_order", "recursive", "plain_reeval"} and all(x["tuples_per_s"] > 0 for x in got.values())
+    assert got["view_tree"]["views"] == 4 and len(got["view_tree"]["tenths"]) >= 1
+    assert set(experiments.enumeration_costs(spark, sf, (2,))) == {"eager_fact", "eager_list", "lazy_fact", "lazy_list"}
+    assert set(experiments.rank_costs(spark, sf, (1, 8))) == {"rank_1", "rank_8"}
