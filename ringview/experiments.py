@@ -11,7 +11,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ringview.functions.rings import BigIntRing, ComplexRing, CovarianceRing, GenCovarianceRing, IntRing, MatrixRing, NatSemiring, NumberRing
+from ringview.functions.rings import BigIntRing, ComplexRing, CovarianceRing, GenCovarianceRing, HybridCovarianceRing, IntRing, MatrixRing, NatSemiring, NumberRing
 from ringview.operators import baselines
 from ringview.operators.conjunctive import Factorized, listing_query
 from ringview.operators.covariance import Moments, long_rows
@@ -23,8 +23,8 @@ from ringview.operators.mutual_info import Discretizer, InformationStream, mutua
 from ringview.operators.regression import OnlineRegression, loss, solve
 from ringview.operators.relation import KeyedRelation, indicator, join, marginalize, negate, union
 from ringview.plans.query import NaturalJoinQuery
-from ringview.plans.varorder import VariableOrder
-from ringview.queries import _MAT_SQL, _MI, ORACLES, QUERIES, _cov_sql, _list_sql, _matrices, _mi_sql, _product, _rows, _sum_sql, by_baseline, maintained, query
+from ringview.plans.varorder import VariableOrder, free_top_order
+from ringview.queries import _MAT_SQL, _MI, _MIXED, ORACLES, QUERIES, _cov_sql, _list_sql, _long_sql, _matrices, _mi_sql, _product, _rows, _sum_sql, by_baseline, maintained, query
 from ringview.sources import workloads as w
 from ringview.sources.io import shared_path
 from ringview.sources.store import ParquetStore
@@ -90,6 +90,21 @@ def _(spark, sf_dir):
     return _rows(again.result())
 
 
+# --- payload layouts: hybrid rows and columns, multiplicities above the payloads -----------------------------------------------
+for _name in ("retail", "star", "documents"):
+    _work, _cont, _cat = _MIXED[f"mixed_{_name}"]
+    query(f"covariance_hybrid_{_name}", _long_sql(_work, _cont, _cat))(lambda s, d, work=_work, cont=_cont, cat=_cat: long_rows(maintained(work, s, d, work.query(HybridCovarianceRing(cont, cat))).result()))
+
+_GROUPED = {"retail": (w.RETAIL, ("quantity", "price", "size"), ("nationkey", "suppkey", "day")), "star": (w.star(2), ("click_value", "view_value"), ("user_id", "click_hour")), "sales": (w.SALES, w.SALES.features[:2], ("day", "suppkey"))}
+for _name, (_work, _f, _free) in _GROUPED.items():
+
+    @query(f"covariance_count_only_above_{_name}", _cov_sql(_work, _f, _free))
+    def _(spark, sf_dir, work=_work, f=_f, free=_free):
+        """Covariances by several free variables: the views that only tell which groups there are carry no matrices."""
+        q = work.query(CovarianceRing(f, NumberRing("long")), free)
+        return _rows(maintained(work, spark, sf_dir, q, free_top_order(q), free_top=True, count_only_above=True).result())
+
+
 # --- modes, encodings and orders on all joins -----------------------------------------------------------------------------
 _FULL: dict[str, tuple[Workload, tuple[str, ...]]] = {
     "star": (w.star(2), ("user_id", "click_value", "view_value")), "retail": (w.RETAIL, ("nationkey", "suppkey", "day", "partkey", "quantity")),
@@ -181,6 +196,7 @@ for _name, _work in _DENSE.items():
     query(f"triangle_{_name}", _sum_sql(_work, None))(lambda s, d, work=_work: _rows(maintained(work, s, d, work.query(IntRing()), indicators=True).result()))
 query("triangle_users_covariance", _cov_sql(_DENSE["users"], "abc"))(lambda s, d: _rows(maintained(_DENSE["users"], s, d, _DENSE["users"].query(CovarianceRing(tuple("abc"), NumberRing("long"))), indicators=True).result()))
 query("triangle_users_first_order", _sum_sql(_DENSE["users"], None))(lambda s, d: _rows(by_baseline(_DENSE["users"], s, d, lambda db: baselines.FirstOrder(_DENSE["users"].query(IntRing()), db)).result()))
+query("triangle_by_difference", _sum_sql(w.triangle(w.part_graph), None))(lambda s, d: _rows(maintained(w.triangle(w.part_graph), s, d, w.triangle(w.part_graph).query(IntRing()), indicators=True, by_difference=True).result()))
 query("triangle_moved", _sum_sql(w.triangle(w.part_graph), None))(lambda s, d: _rows(maintained(w.triangle(w.part_graph), s, d, w.triangle(w.part_graph).query(IntRing()), place={"r": "c"}).result()))
 
 

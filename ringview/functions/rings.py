@@ -324,9 +324,10 @@ class ProductRing(Ring):
 
 
 class LongRing(Ring):
-    """Payloads that are relations: rows beside the keys, with ``inner`` columns and a multiplicity or value ``v``.
+    """Payloads that are relations: rows beside the keys, with ``inner`` columns and a multiplicity or value ``v``; a ring
+    may have more slots than that.
 
-    A product pairs the rows of two payloads; ``combine`` gives its inner columns and which pairs count.
+    A product pairs the rows of two payloads; ``combine`` gives its inner columns and which pairs count, ``times`` its slots.
     """
 
     inner: tuple[str, ...] = ()
@@ -342,6 +343,14 @@ class LongRing(Ring):
     def weight(self, a: Mapping[str, Column], b: Mapping[str, Column]) -> Column:
         return F.lit(1)
 
+    def times(self, a: Mapping[str, Column], b: Mapping[str, Column]) -> Payload:
+        """Slots of a product of two rows; ``a`` and ``b`` have inner columns and slots."""
+        return {"v": a["v"] * b["v"] * self.weight(a, b)}
+
+    def copies(self, n: Column) -> Payload:
+        """Slots of n times the unit."""
+        return {"v": n}
+
     def unit(self) -> dict[str, Column]:
         raise NotImplementedError
 
@@ -407,3 +416,51 @@ class GenCovarianceRing(LongRing):
             c = value.cast("string")
             rows += [row(var, c, "", none, one), row(var, c, var, c, one)]
         return F.array(*rows)
+
+
+@dataclass(frozen=True)
+class HybridCovarianceRing(GenCovarianceRing):
+    """The generalized covariance with scalars wherever categories need no rows of their own.
+
+    Inner columns name categorical variables only, ``v`` counts.  The row without categories carries sums ``s_`` and
+    products ``q_`` of the continuous variables, a row of one category carries their sums in it, a row of two only counts.
+    """
+
+    @property
+    def slots(self) -> tuple[str, ...]:  # type: ignore[override]
+        v = sorted(self.cont)
+        return ("v", *(f"s_{x}" for x in v), *(CovarianceRing.q(x, y) for i, x in enumerate(v) for y in v[i:]))
+
+    def times(self, a, b):
+        open_ = lambda p, c: p[c] == ""
+        plain = open_(a, "x") & open_(b, "x")
+        single = open_(a, "y") & open_(b, "y") & (open_(a, "x") | open_(b, "x"))
+        when = lambda cond, value: F.when(cond, value).otherwise(F.lit(0)).cast(self.type_name)
+        out = {"v": a["v"] * b["v"] * self.weight(a, b)}
+        v = sorted(self.cont)
+        for i, x in enumerate(v):
+            out[f"s_{x}"] = when(single, a[f"s_{x}"] * b["v"] + a["v"] * b[f"s_{x}"])
+            for y in v[i:]:
+                q = CovarianceRing.q(x, y)
+                out[q] = when(plain, a[q] * b["v"] + a["v"] * b[q] + a[f"s_{x}"] * b[f"s_{y}"] + a[f"s_{y}"] * b[f"s_{x}"])
+        return out
+
+    def copies(self, n: Column) -> Payload:
+        return {s: (n if s == "v" else F.lit(0)).cast(self.type_name) for s in self.slots}
+
+    def lift_rows(self, var: str, value: Column) -> Column:
+        def row(x: str, cx: Column, y: str, cy: Column, **filled: Column) -> Column:
+            return F.struct(
+                F.lit(x).alias("x"), cx.alias("cx"), F.lit(y).alias("y"), cy.alias("cy"), F.lit(1).cast(self.type_name).alias("v"),
+                *[filled.get(s, F.lit(0)).cast(self.type_name).alias(s) for s in self.slots if s != "v"],
+            )
+
+        none = F.lit("")
+        if var in self.cont:
+            n = value.cast(self.type_name)
+            return F.array(row("", none, "", none, **{f"s_{var}": n, CovarianceRing.q(var, var): n * n}))
+        rows = [row("", none, "", none)]
+        if var in self.cat:
+            c = value.cast("string")
+            rows += [row(var, c, "", none), row(var, c, var, c)]
+        return F.array(*rows)

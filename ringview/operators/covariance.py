@@ -9,7 +9,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ringview.functions.rings import CovarianceRing, GenCovarianceRing, NumberRing
+from ringview.functions.rings import CovarianceRing, GenCovarianceRing, HybridCovarianceRing, NumberRing
 from ringview.operators.engine import Database, Engine
 from ringview.operators.relation import COUNT, KeyedRelation
 from ringview.plans.query import NaturalJoinQuery
@@ -29,6 +29,11 @@ def mixed(q: NaturalJoinQuery, cont: Iterable[str], cat: Iterable[str], type_nam
     return replace(q, free=(), ring=GenCovarianceRing(tuple(cont), tuple(cat), type_name))
 
 
+def hybrid(q: NaturalJoinQuery, cont: Iterable[str], cat: Iterable[str], type_name: str = "long") -> NaturalJoinQuery:
+    """As ``mixed``, with the continuous part of each payload in columns."""
+    return replace(q, free=(), ring=HybridCovarianceRing(tuple(cont), tuple(cat), type_name))
+
+
 def categorical(q: NaturalJoinQuery, cat: Iterable[str]) -> NaturalJoinQuery:
     return mixed(q, (), cat)
 
@@ -84,7 +89,9 @@ class Moments:
 
 
 def long_rows(rel: KeyedRelation) -> DataFrame:
-    """Slots of the wide layout as rows (x, y, v), the long layout as it is."""
+    """Slots of the wide layout as rows (x, y, v), the long layout as it is; the hybrid one becomes long."""
+    if isinstance(rel.ring, HybridCovarianceRing):
+        return _hybrid_rows(rel)
     if isinstance(rel.ring, GenCovarianceRing):
         return rel.df.select(*rel.keys, "x", "cx", "y", "cy", "v")
     names = [s for s in rel.slots]
@@ -92,6 +99,22 @@ def long_rows(rel: KeyedRelation) -> DataFrame:
     return rel.df.select(*rel.keys, F.explode(F.array(*map(entry, names))).alias("e")).select(*rel.keys, "e.slot", "e.v")
 
 
+def _hybrid_rows(rel: KeyedRelation) -> DataFrame:
+    """Each row of the hybrid layout gives its count and the scalars that its number of categories leaves open."""
+    cont = sorted(rel.ring.cont)  # type: ignore[attr-defined]
+    none = F.lit("")
+    entry = lambda x, cx, y, cy, v: F.struct(x.alias("x"), cx.alias("cx"), y.alias("y"), cy.alias("cy"), v.alias("v"))
+    own = entry(*(F.col(c) for c in ("x", "cx", "y", "cy")), F.col("v"))
+    sums, products, by_category = [], [], []
+    for i, x in enumerate(cont):
+        sums.append(entry(F.lit(x), none, none, none, F.col(f"s_{x}")))
+        products += [entry(F.lit(x), none, F.lit(y), none, F.col(CovarianceRing.q(x, y))) for y in cont[i:]]
+        first = F.col("x") < x
+        by_category.append(entry(F.when(first, F.col("x")).otherwise(x), F.when(first, F.col("cx")).otherwise(""), F.when(first, F.lit(x)).otherwise(F.col("x")), F.when(first, F.lit("")).otherwise(F.col("cx")), F.col(f"s_{x}")))
+    rows = F.when(F.col("x") == "", F.array(own, *sums, *products)).when(F.col("y") == "", F.array(own, *by_category)).otherwise(F.array(own))
+    return rel.df.select(*rel.keys, F.explode(rows).alias("e")).select(*rel.keys, "e.x", "e.cx", "e.y", "e.cy", "e.v")
+
+
 def one_hot(df: DataFrame, cont: Sequence[str], cat: dict[str, Sequence[object]], type_name: str = "long") -> DataFrame:
     """The contrast: categories as 0/1 columns, all second moments of all columns, in one aggregation of a joined table."""
     columns = [F.col(c).cast(type_name).alias(c) for c in cont]

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ringview.functions.rings import IntRing, LongRing
-from ringview.operators.relation import SIGN, KeyedRelation, aggregate, indicator, join, marginalize, support, support_change, union
+from ringview.operators.relation import COUNT, SIGN, KeyedRelation, aggregate, indicator, indicator_difference, join, marginalize, support, support_change, union
 from ringview.plans.query import NaturalJoinQuery
 from ringview.plans.viewtree import Leaf, Node, ViewTree, add_indicators, build_free_top_tree, build_tree, materialized, path_to
 from ringview.plans.varorder import VariableOrder, best_order, canonical_order, fd_order, free_top_order
@@ -49,14 +49,24 @@ def from_leaf(node: Node, bag: DataFrame, q: NaturalJoinQuery) -> KeyedRelation:
     return aggregate(bag, node.keys, gone, q.ring)
 
 
-def content(tree: ViewTree, node: Node | Leaf, db: Database, seen: dict[str, KeyedRelation]) -> KeyedRelation:
+def numbers(rel: KeyedRelation) -> KeyedRelation:
+    """The same keys with their derivations as payloads (of a payload of rows, those of all rows: zero for the same keys)."""
+    n = F.col(COUNT).cast("long")
+    df = rel.df.groupBy(*rel.keys).agg(F.sum(n).alias("v")) if isinstance(rel.ring, LongRing) else rel.df.select(*rel.keys, n.alias("v"))
+    return rel if rel.ring == IntRing() else KeyedRelation(df.withColumn(COUNT, F.col("v")), rel.keys, IntRing())
+
+
+def content(tree: ViewTree, node: Node | Leaf, db: Database, seen: dict[str, KeyedRelation], counts: frozenset[str] = frozenset()) -> KeyedRelation:
+    """A view from scratch; those named in ``counts`` carry multiplicities only."""
     if node.name not in seen:
-        if isinstance(node, Leaf):
+        if node.name in counts:
+            seen[node.name] = view(node, [numbers(content(tree, c, db, seen, counts)) for c in node.children])
+        elif isinstance(node, Leaf):
             seen[node.name] = leaf_relation(node, db[node.relation], tree.query)
         elif len(node.children) == 1 and isinstance(node.children[0], Leaf) and node.children[0].onto is None:
             seen[node.name] = from_leaf(node, db[node.children[0].relation], tree.query)
         else:
-            seen[node.name] = view(node, [content(tree, c, db, seen) for c in node.children])
+            seen[node.name] = view(node, [content(tree, c, db, seen, counts) for c in node.children])
     return seen[node.name]
 
 
@@ -86,6 +96,20 @@ def frontier(tree: ViewTree) -> list[Node | Leaf]:
     return out
 
 
+def above_frontier(tree: ViewTree) -> frozenset[str]:
+    """Views over free variables that stand above others of this kind."""
+    low = {n.name for n in frontier(tree)}
+
+    def at(n: Node | Leaf) -> tuple[bool, set[str]]:
+        if n.name in low or isinstance(n, Leaf):
+            return n.name in low, set()
+        below = [at(c) for c in n.children]
+        found = any(f for f, _ in below)
+        return found, set().union(*(a for _, a in below)) | ({n.name} if found else set())
+
+    return frozenset().union(*(at(r)[1] for r in tree.roots))
+
+
 @dataclass
 class Engine:
     """Keeps a query's result, or its factorized form, up to date.
@@ -93,7 +117,10 @@ class Engine:
     ``free_top``: views for enumeration.  ``indicators``: projections on cycles.  ``updatable``: relations that change
     (all but static ones, if not given).  ``keep_base``: base relations are stored too.  ``place``: relations that hang
     below a lower variable than their own lowest.  ``same``: a relation symbol and the relations that are its copies under
-    other variable names; a change of the symbol is applied to one after another.
+    other variable names; a change of the symbol is applied to one after another.  ``count_only_above``: for enumeration,
+    views above those that give a tuple its payload keep multiplicities only, which says whether a tuple is still there.
+    ``by_difference``: changes of an indicator are the difference of its content before and after, computed whole; a
+    contrast to the counts of supports, which read touched tuples only.
     """
 
     query: NaturalJoinQuery
@@ -105,8 +132,11 @@ class Engine:
     store: ViewStore | None = None
     place: Mapping[str, str] = field(default_factory=dict)
     same: Mapping[str, Sequence[str]] = field(default_factory=dict)
+    count_only_above: bool = False
+    by_difference: bool = False
     tree: ViewTree = field(init=False)
     stored: set[str] = field(init=False)
+    counts: frozenset[str] = field(init=False, default=frozenset())
 
     def __post_init__(self) -> None:
         q = self.query
@@ -121,7 +151,11 @@ class Engine:
             self.stored |= {n.name for n in frontier(self.tree)}
         self.store = self.store or ViewStore(q.ring)
         self._bases = {x.relation for x in self.tree.leaves() if x.onto is not None} | (set(q.relations) if self.keep_base else set())
-        self.store.rings |= {_base(r): IntRing() for r in self._bases}
+        if self.count_only_above:
+            if not self.free_top:
+                raise ValueError("payloads stay low in the tree for enumeration only (free_top)")
+            self.counts = above_frontier(self.tree)
+        self.store.rings |= {_base(r): IntRing() for r in self._bases} | {n: IntRing() for n in self.counts}
         if not self.free_top:
             self.store.only_read_last |= {r.name for r in self.tree.roots}
         #: Whether the store had the views already, from an earlier run.
@@ -138,7 +172,7 @@ class Engine:
                     at(c)
             if n.name in self.stored and n.name not in done:
                 done.add(n.name)
-                self.store.create(n.name, content(self.tree, n, db, seen))
+                self.store.create(n.name, content(self.tree, n, db, seen, self.counts))
                 seen[n.name] = self.store.read(n.name)
 
         for r in self.tree.roots:
@@ -155,16 +189,20 @@ class Engine:
             if below is leaf and leaf.name in self.stored:
                 change = change or leaf_relation(leaf, bag, self.query)
                 self.store.append(leaf.name, change)
-            if change is None and len(n.children) == 1:
+            if change is None and len(n.children) == 1 and n.name not in self.counts:
                 change = from_leaf(n, bag, self.query)
             else:
-                change = change or leaf_relation(leaf, bag, self.query)
-                change = view(n, [change if c is below else self.store.read_for(c.name, change) for c in n.children])
+                change = self._step(n, below, change or leaf_relation(leaf, bag, self.query))
             if n.name in self.stored:
                 self.store.append(n.name, change)
                 change = self.store.latest(n.name)
             below = n
 
+    def _step(self, n: Node, below: Node | Leaf, change: KeyedRelation) -> KeyedRelation:
+        """The change of a view from that of one child and what it meets in the others."""
+        inputs = [change if c is below else self.store.read_for(c.name, change) for c in n.children]
+        return view(n, [numbers(x) for x in inputs] if n.name in self.counts else inputs)
+
     def apply(self, relation: str, delta: DataFrame, batch: tuple[str, int] | None = None) -> bool:
         """A signed bag of changes of one relation: its leaves first, then its indicators, so that each step sees the
         ones before.  With ``batch`` (a stream and its ascending batch number) a batch counts once, across restarts if the
@@ -203,9 +241,12 @@ class Engine:
             if leaf.relation == relation and leaf.onto is not None:
                 onto = list(leaf.onto)
                 whole = self.store.read(_base(relation))
-                near = KeyedRelation(whole.df.join(change.df.select(*onto).distinct(), onto, "left_semi"), whole.keys, whole.ring)
-                moved = support_change(support(near, onto), entering, leaving, onto)
-                one = self.query.ring.unit() | {"v": F.col(SIGN).cast("long")} if isinstance(self.query.ring, LongRing) else self.query.ring.scale(self.query.ring.one(), F.col(SIGN))
+                if self.by_difference:
+                    moved = indicator_difference(whole, union(whole, change), onto)
+                else:
+                    near = KeyedRelation(whole.df.join(change.df.select(*onto).distinct(), onto, "left_semi"), whole.keys, whole.ring)
+                    moved = support_change(support(near, onto), entering, leaving, onto)
+                one = self.query.ring.unit() | self.query.ring.copies(F.col(SIGN).cast("long")) if isinstance(self.query.ring, LongRing) else self.query.ring.scale(self.query.ring.one(), F.col(SIGN))
                 self._indicator(leaf, KeyedRelation(moved.select(*onto, *[c.alias(s) for s, c in one.items()], F.col(SIGN).cast("long").alias("__n")), leaf.onto, self.query.ring), pushed)
         self.store.append(_base(relation), change)
 
@@ -217,7 +258,7 @@ class Engine:
             self.store.append(leaf.name, delta)
             pushed.add(leaf.name)
         for n in path_to(self.tree, leaf):
-            delta = view(n, [delta if c is below else self.store.read_for(c.name, delta) for c in n.children])
+            delta = self._step(n, below, delta)
             if n.name in self.stored:
                 self.store.append(n.name, delta)
                 delta = self.store.latest(n.name)
@@ -249,7 +290,7 @@ class Engine:
                 keys = tuple(k for k in rel.keys if k in q.free)
                 if out is not None and set(keys) <= set(out.keys):
                     continue
-                rel = indicator(rel, keys)
+                rel = indicator(rel, keys, q.ring)
             used.add(name)
             out = rel if out is None else join(out, rel)
         for name in low:

@@ -87,7 +87,7 @@ def aggregate(bag: DataFrame, keys: tuple[str, ...], lift: dict[str, Column], ri
     """Straight from a signed bag: lift the variables of ``lift`` and sum per key, one pass for a whole chain."""
     n = F.col(SIGN).cast(count_type(ring))
     if isinstance(ring, LongRing):
-        rel = KeyedRelation(bag.select(*keys, *lift, *[c.alias(k) for k, c in ring.unit().items()], n.alias("v"), n.alias(COUNT)), keys + tuple(lift), ring)
+        rel = KeyedRelation(bag.select(*keys, *lift, *[c.alias(k) for k, c in (ring.unit() | ring.copies(n)).items()], n.alias(COUNT)), keys + tuple(lift), ring)
         return marginalize(rel, tuple(lift))
     payload = ring.one()
     for var, col in lift.items():
@@ -106,14 +106,14 @@ def marginalize(a: KeyedRelation, variables: Sequence[str], lifted: bool = True)
         for v in gone:
             if not lifted:
                 continue
-            left, right = {c: F.col(c) for c in ring.inner}, {c: F.col(f"__l.{c}") for c in ring.inner}
+            left, right = {c: F.col(c) for c in (*ring.inner, *ring.slots)}, {c: F.col(f"__l.{c}") for c in (*ring.inner, *ring.slots)}
             rows = df.withColumn("__l", F.explode(ring.lift_rows(v, F.col(v))))
             inner, keep = ring.combine(left, right)
             rows = rows if keep is None else rows.where(keep)
-            others = [c for c in df.columns if c not in ring.inner and c not in ("v", COUNT)]
-            df = rows.select(*others, *[c.alias(k) for k, c in inner.items()], (F.col("v") * F.col("__l.v") * ring.weight(left, right)).alias("v"), COUNT)
-        rows = df.select(*keys, *ring.inner, "v", COUNT)
-        return KeyedRelation(_sum(rows, keys, ring, ["v"]), keys, ring)
+            others = [c for c in df.columns if c not in ring.inner and c not in (*ring.slots, COUNT)]
+            df = rows.select(*others, *[c.alias(k) for k, c in (inner | ring.times(left, right)).items()], COUNT)
+        rows = df.select(*keys, *ring.inner, *ring.slots, COUNT)
+        return KeyedRelation(_sum(rows, keys, ring, ring.slots), keys, ring)
     payload = a.payload()
     for v in gone:
         payload = ring.mul(payload, ring.lift(v, F.col(v))) if lifted else payload
@@ -145,17 +145,17 @@ def join(a: KeyedRelation, b: KeyedRelation, hint: str | None = None, total: boo
     keys = a.keys + tuple(k for k in b.keys if k not in a.keys)
     count = (F.col(COUNT) * F.col(f"__r_{COUNT}")).cast(count_type(ring)).alias(COUNT)
     if isinstance(ring, LongRing):
-        left, other = {c: F.col(c) for c in ring.inner}, {c: F.col(f"__r_{c}") for c in ring.inner}
+        left, other = {c: F.col(c) for c in (*ring.inner, *ring.slots)}, {c: F.col(f"__r_{c}") for c in (*ring.inner, *ring.slots)}
         inner, keep = ring.combine(left, other)
         both = both if keep is None else both.where(keep)
-        rows = both.select(*keys, *[c.alias(k) for k, c in inner.items()], (F.col("v") * F.col("__r_v") * ring.weight(left, other)).alias("v"), count)
-        return KeyedRelation(_sum(rows, keys, ring, ["v"]) if total else rows, keys, ring)
+        rows = both.select(*keys, *[c.alias(k) for k, c in (inner | ring.times(left, other)).items()], count)
+        return KeyedRelation(_sum(rows, keys, ring, ring.slots) if total else rows, keys, ring)
     payload = ring.mul(a.payload(), b.payload("__r_"))
     return KeyedRelation(both.select(*keys, *[c.alias(s) for s, c in payload.items()], count), keys, ring)
 
 
 def negate(a: KeyedRelation) -> KeyedRelation:
-    payload = {"v": -F.col("v")} if isinstance(a.ring, LongRing) else a.ring.neg(a.payload())
+    payload = {s: -F.col(s) for s in a.slots} if isinstance(a.ring, LongRing) else a.ring.neg(a.payload())
     return KeyedRelation(a.df.select(*a.keys, *a.inner, *[c.alias(s) for s, c in payload.items()], (-F.col(COUNT)).alias(COUNT)), a.keys, a.ring)
 
 
@@ -163,7 +163,7 @@ def indicator(a: KeyedRelation, onto: Sequence[str], ring: Ring | None = None) -
     """One for each value of ``onto`` that has an entry; ``support`` counts them."""
     ring = ring or a.ring
     df = a.df.select(*onto).distinct()
-    extra = ring.unit() | {"v": F.lit(1).cast("long")} if isinstance(ring, LongRing) else ring.one()
+    extra = ring.unit() | ring.copies(F.lit(1).cast("long")) if isinstance(ring, LongRing) else ring.one()
     return KeyedRelation(df.select(*onto, *[c.alias(s) for s, c in extra.items()], F.lit(1).cast("long").alias(COUNT)), tuple(onto), ring)
 
 
@@ -179,3 +179,9 @@ def support_change(old: DataFrame, entering: DataFrame, leaving: DataFrame, onto
     moved = step.groupBy(*onto).agg(F.sum("d").alias("d")).where("d <> 0").join(old, list(onto), "left").withColumn("n", F.coalesce("n", F.lit(0)))
     sign = F.when((F.col("n") == 0) & (F.col("d") > 0), 1).when((F.col("n") > 0) & (F.col("n") + F.col("d") <= 0), -1)
     return moved.withColumn(SIGN, sign).where(F.col(SIGN).isNotNull()).select(*onto, SIGN)
+
+
+def indicator_difference(before: KeyedRelation, after: KeyedRelation, onto: Sequence[str]) -> DataFrame:
+    """(onto, __m in {1, -1}): the same change as by supports, from both contents whole."""
+    side = lambda a, n: a.df.select(*onto).distinct().withColumn(SIGN, F.lit(n))
+    return side(after, 1).unionByName(side(before, -1)).groupBy(*onto).agg(F.sum(SIGN).alias(SIGN)).where(F.col(SIGN) != 0)
