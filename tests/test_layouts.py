@@ -91,10 +91,10 @@ def test_indicators_by_difference_and_by_support(spark):
     for e in engines:
         e.load(db)
     first = [(x, y, 1) for x, y in edges()]
-    now = dict(db)
+    now = {r: signed(df) for r, df in db.items()}
     for relation, rows in (("r", first * 2), ("r", [(x, y, -1) for x, y, _ in first]), ("t", first), ("r", [(x, y, -1) for x, y, _ in first])):
         delta = spark.createDataFrame(rows, "{} long, {} long, __m int".format(*q.relations[relation]))
-        now[relation] = signed(now[relation]).unionByName(delta)
+        now[relation] = now[relation].unionByName(delta)
         for e in engines:
             e.apply(relation, delta)
     plain = Engine(q, order)
