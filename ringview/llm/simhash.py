@@ -457,11 +457,21 @@ def near_duplicates(docs: DataFrame, text_col: str = "text", id_col: str = "doc_
     return out.select("_d", "_h", "fp", F.when(F.col("n").isNull(), F.col("_d")).otherwise(F.col("component_id")).alias("component_id"), (F.coalesce("n", F.lit(1)) - 1).alias("links"))
 
 
+def _with_simhash(rows: DataFrame, near: DataFrame) -> DataFrame:
+    """A further key for the texts of a SimHash component: its smallest id; texts without words meet by equality only."""
+    near = near.select(F.col("_d").alias("_e"), F.col("_h").alias("_g"), F.xxhash64(F.lit("simhash"), "component_id").alias("meet")).dropDuplicates(["_e", "_g"])
+    shared = near.join(near.groupBy("meet").agg(F.count("*").alias("n")).where("n > 1").select("meet"), "meet")
+    keyed_ = rows.join(shared, F.expr("_d <=> _e and _h = _g"), "left")
+    keys = F.when(F.col("meet").isNull() | (F.col("size") == 0), F.col("keys")).otherwise(F.concat("keys", F.array("meet")))
+    return keyed_.select("_d", "_h", "size", "d0", "d1", keys.alias("keys"), "sig")
+
+
 def similar_documents(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", similarity: float = 0.8, recall: float = RECALL, crowd: int = CROWD, one_task: int = 1_000_000, rounds: int = ROUNDS) -> DataFrame:
     """One row per document: _d, _h, _n (row number), root (row number of its group), kept.
 
-    Texts link if the Jaccard similarity of their sets of five-word shingles is ``similarity`` or more.  Pairs are found
-    by equal fingerprints (``recall`` of those at ``similarity``, more above it) and decided by the sets.  In each of some
+    Texts link if the Jaccard similarity of their sets of five-word shingles is ``similarity`` or more.  Candidates are the
+    texts of each SimHash component (``near_duplicates``), and, as those miss most pairs close to the bound, pairs are found
+    by equal fingerprints of few shingles (``recall`` of those at ``similarity``, more above it) and decided by the sets.  In each of some
     ``rounds`` a text is compared with the leader, of those of its fingerprints, that seems nearest: a group of many
     copies is then one root, and its pairs are never listed.  What the links so far leave in different groups is compared
     pair by pair inside tasks: first by size and smallest values, which gives clusters of texts that may link, then, cluster
@@ -470,7 +480,8 @@ def similar_documents(docs: DataFrame, text_col: str = "text", id_col: str = "do
     """
     n, exact = bands(similarity, recall), Fraction(str(similarity))
     least = least_common(similarity, n * ROWS)
-    found = materialize(keyed(docs, id_col, text_col).mapInArrow(_passage_rows(n), "_d long, _h long, size long, d0 long, d1 long, keys array<long>, sig binary").withColumn("_n", F.monotonically_increasing_id()), "passages")
+    passed = keyed(docs, id_col, text_col).mapInArrow(_passage_rows(n), "_d long, _h long, size long, d0 long, d1 long, keys array<long>, sig binary")
+    found = materialize(_with_simhash(passed, near_duplicates(docs, text_col, id_col, crowd=crowd, one_task=one_task)).withColumn("_n", F.monotonically_increasing_id()), "passages")
     one = F.min(F.struct("_n", "_d", "_h", "keys", "sig")).alias("one")
     nodes = materialize(found.groupBy("size", "d0", "d1").agg(one, F.count("*").alias("n")).select("size", "d0", "d1", "n", F.col("one._n").alias("node"), "one._d", "one._h", "one.keys", "one.sig"), "nodes")
     index = nodes.select(F.explode("keys").alias("key"), "node")
